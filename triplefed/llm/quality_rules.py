@@ -15,12 +15,11 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from triplefed.llm.common import WORD, ascii_lower, table
+from triplefed.llm.common import WORD, table
 
-BLANKS = " \t\n\x0b\f\r"
 SYMBOLS = "#*$%&|<>"
 WINDOW = 8
-MIN_WORDS, MIN_CHARS = 60, 200
+MIN_WORDS, MIN_CHARS = 60, 600
 CHAR_LIMIT, WORD_LIMIT = 0.19, 0.31
 
 #: Shares of lower case, upper case, digits, blanks, sentence marks, symbols and letters beyond ASCII.
@@ -50,61 +49,83 @@ def divergence(p: list[Column], q: list[float]) -> Column:
     return F.sqrt(F.greatest(F.lit(0.0), out / 2))
 
 
-def _equals(word: str):
-    return lambda w: w == F.lit(word)
+def _with_next(distance: int):
+    return lambda h, i: F.xxhash64(h, F.get("hs", i + distance))
+
+
+def _less(text: str, pattern: str) -> Column:
+    """Characters of ``text`` in runs that match."""
+    return F.length(text) - F.length(F.regexp_replace(text, pattern, ""))
+
+
+def _variants() -> list[str]:
+    """The common words as they stand in a text: in three cases, alone or before a mark."""
+    words = sorted({w for ref in COMMON.values() for w in ref})
+    return [x + mark for w in words for x in dict.fromkeys((w, w.capitalize(), w.upper())) for mark in ("", *".,;:!?")]
 
 
 def measured(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """doc_id with all base counts, the two distances and the nearest language of each."""
-    d = docs.select(F.col(doc_id).alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("t"))
-    d = d.withColumn("ws", F.regexp_extract_all("t", F.lit(WORD), F.lit(0)))
-    d = d.withColumn("n_words", F.size("ws").cast("long"))
-    # ---- base counts
-    letters = F.translate("t", BLANKS, "")
-    d = d.withColumn("word_chars", F.length(letters).cast("long"))
-    d = d.withColumn("n_symbols", (F.length("t") - F.length(F.translate("t", SYMBOLS, ""))).cast("long"))
-    d = d.withColumn("lines", F.filter(F.split("t", "\n"), lambda x: F.length(F.translate(x, BLANKS, "")) > 0))
+    """doc_id with all base counts, the two distances and those to each language.
+
+    A text is scanned in full three times: for its words, its lines, and for what is left without a-z, from which all
+    other character counts are taken.
+    """
+    d = docs.select(F.struct(*(docs[c] for c in docs.columns)).alias("row"), F.col(doc_id).alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("t"))
+    d = d.withColumn("n_chars_", F.length("t")).withColumn("rest", F.regexp_replace("t", "[a-z]+", "")).withColumn("ws", F.regexp_extract_all("t", F.lit(WORD), F.lit(0)))
+    d = d.withColumn("n_words", F.size("ws").cast("long")).withColumn("lines", F.filter(F.split("t", "\n"), lambda x: x.rlike(WORD))).drop("t")
     d = d.withColumn("n_dup_lines", (F.size("lines") - F.size(F.array_distinct("lines"))).cast("long")).drop("lines")
     # ---- words in windows that come twice: hashes first, places only for the texts that repeat any
-    d = d.withColumn("hs", F.when(F.col("n_words") > WINDOW, F.transform(F.sequence(F.lit(1), (F.col("n_words") - WINDOW + 1).cast("int")), lambda i: F.xxhash64(F.slice("ws", i, WINDOW)))))
-    places = F.expr("sort_array(transform(hs, (h, i) -> struct(h, i)))")
-    d = d.withColumn("sorted", F.when(F.size(F.array_distinct("hs")) < F.size("hs"), places))
+    # a window's hash is made of those of its halves, down to words
+    d = d.withColumn("hs", F.transform("ws", lambda w: F.xxhash64(w)))
+    for half in (1, 2, 4):
+        d = d.withColumn("hs", F.transform("hs", _with_next(half)))
+    d = d.withColumn("hs", F.when(F.col("n_words") > WINDOW, F.slice("hs", 1, F.greatest(F.lit(0), F.size("ws") - WINDOW + 1))))
+    known = F.filter("ws", lambda w: w.isin(_variants()))
+    d = d.withColumn("common", F.lower(F.concat(F.lit(" "), F.regexp_replace(F.array_join(known, "  "), "[.,;:!?]", ""), F.lit(" ")))).drop("ws")
+    d = d.withColumn("sorted", F.when(F.size(F.array_distinct("hs")) < F.size("hs"), F.expr("sort_array(transform(hs, (h, i) -> struct(h, i)))"))).drop("hs")
     twice = F.expr("sort_array(transform(filter(sorted, (x, i) -> (i > 0 AND sorted[i - 1].h = x.h) OR (i + 1 < size(sorted) AND sorted[i + 1].h = x.h)), x -> x.i))")
     covered = F.aggregate(twice, F.struct(F.lit(0).alias("n"), F.lit(0).alias("end")), lambda a, i: F.struct((a["n"] + i + WINDOW - F.greatest(i, a["end"])).alias("n"), (i + WINDOW).alias("end")), lambda a: a["n"])
-    d = d.withColumn("n_repeat_words", F.when(F.col("sorted").isNull(), 0).otherwise(covered).cast("long")).drop("hs", "sorted")
-    # ---- histograms
-    n = F.length("t")
-    count = lambda chars: (n - F.length(F.translate("t", chars, ""))).cast("double")
-    upper, lower = count("ABCDEFGHIJKLMNOPQRSTUVWXYZ"), count("abcdefghijklmnopqrstuvwxyz")
-    marks = count(".,;:!?'\"()-")
-    d = d.withColumn("n_chars_", n).withColumn("h", F.array(lower, upper, count("0123456789"), (n - F.length(letters)).cast("double"), marks, (F.length(F.regexp_replace("t", r"[^\x00-\x7F]", "")) * 1.0)))
-    h = [F.col("h")[i] for i in range(5)]
-    beyond = n - F.col("h")[5]
-    rest = n - (h[0] + h[1] + h[2] + h[3] + h[4]) - beyond
-    total = F.when(n > 0, n).otherwise(1)
-    p = [x / total for x in (*h, rest, beyond)]
-    for lang, ref in CHARACTERS.items():
-        d = d.withColumn(f"c_{lang}", divergence(p, [x / sum(ref) for x in ref]))
+    d = d.withColumn("n_repeat_words", F.when(F.col("sorted").isNull(), 0).otherwise(covered).cast("long")).drop("sorted")
+    # ---- histograms, as arrays, so that each is made once
+    upper, digits, blanks, marks, symbols = (_less("rest", p) for p in ("[A-Z]+", "[0-9]+", r"[\x20\x09-\x0D]+", r"[.,;:!?'\"()-]+", f"[{SYMBOLS}]+"))
+    beyond = _less("rest", r"[^\x00-\x7F]+")
+    d = d.withColumn("h", F.array(F.col("n_chars_") - F.length("rest"), upper, digits, blanks, marks, beyond, symbols)).drop("rest")
+    d = d.withColumn("n_symbols", F.col("h")[6].cast("long")).withColumn("word_chars", (F.col("n_chars_") - F.col("h")[3]).cast("long"))
     vocabulary = sorted({w for ref in COMMON.values() for w in ref})
-    known = F.filter(F.transform("ws", lambda w: F.when(F.length(w) <= 6, F.regexp_replace(ascii_lower(w), r"^\P{Alpha}+|[.,;:!?]+$", ""))), lambda w: w.isin(vocabulary))
-    d = d.withColumn("known", known).drop("ws")
-    words = F.when(F.col("n_words") > 0, F.col("n_words")).otherwise(1)
-    for lang, ref in COMMON.items():
-        shares = [F.size(F.filter("known", _equals(x))) / words for x in ref]
-        other = F.lit(1.0) - sum(shares[1:], shares[0])
-        d = d.withColumn(f"w_{lang}", divergence([*shares, F.greatest(other, F.lit(0.0))], [*ref.values(), 1 - sum(ref.values())]))
-    d = d.withColumn("char_distance", F.least(*(F.col(f"c_{x}") for x in CHARACTERS)))
-    return d.withColumn("word_distance", F.least(*(F.col(f"w_{x}") for x in COMMON)))
-
-
-def judge(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", char_limit: float = CHAR_LIMIT, word_limit: float = WORD_LIMIT, min_words: int = MIN_WORDS, min_chars: int = MIN_CHARS) -> DataFrame:
-    """doc_id, the base counts, base_failed, kept, and both distances (null below the minimum lengths)."""
+    count = lambda w: (F.octet_length("common") - F.octet_length(F.replace(F.col("common"), F.lit(f" {w} "), F.lit("")))) / (len(w.encode()) + 2)
+    d = d.withColumn("k", F.array(*(count(w) for w in vocabulary))).drop("common")
+    total = F.greatest(F.col("n_chars_"), F.lit(1))
+    classes = [F.col("h")[i] for i in range(6)]
+    other = F.col("n_chars_") - sum(classes[1:], classes[0])
+    d = d.withColumn("p", F.array(*(x / total for x in (*classes[:5], other, classes[5]))))
+    p = [F.col("p")[i] for i in range(7)]
+    words = F.greatest(F.col("n_words"), F.lit(1))
+    d = d.withColumn("char_distance", F.least(*(divergence(p, [x / sum(ref) for x in ref]) for ref in CHARACTERS.values())))
+    distances = []
+    for ref in COMMON.values():
+        shares = [F.col("k")[vocabulary.index(w)] / words for w in ref]
+        distances.append(divergence([*shares, F.greatest(F.lit(1.0) - sum(shares[1:], shares[0]), F.lit(0.0))], [*ref.values(), 1 - sum(ref.values())]))
+    return d.withColumn("word_distance", F.least(*distances))
+
+
+def judged(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", char_limit: float = CHAR_LIMIT, word_limit: float = WORD_LIMIT, min_words: int = MIN_WORDS, min_chars: int = MIN_CHARS) -> DataFrame:
+    """``measured`` with base_failed and kept; distances are null below the minimum lengths."""
     m = measured(docs, doc_id, text)
     m = m.withColumn("base_failed", (F.col("n_words") < 20) | (100 * F.col("n_repeat_words") > 30 * F.col("n_words")))
     m = m.withColumn("char_distance", F.when(F.col("n_chars_") >= min_chars, F.col("char_distance")))
     m = m.withColumn("word_distance", F.when(F.col("n_words") >= min_words, F.col("word_distance")))
     far = (F.coalesce(F.col("char_distance"), F.lit(0.0)) > char_limit) | (F.coalesce(F.col("word_distance"), F.lit(0.0)) > word_limit)
-    return m.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", (~F.col("base_failed") & ~far).alias("kept"), "char_distance", "word_distance")
+    return m.withColumn("kept", ~F.col("base_failed") & ~far)
+
+
+def judge(docs: DataFrame, **options) -> DataFrame:
+    """doc_id, the base counts, base_failed, kept, and both distances."""
+    return judged(docs, **options).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "char_distance", "word_distance")
+
+
+def good_documents(docs: DataFrame, **options) -> DataFrame:
+    """The rows that are kept, with all their columns: a stage of a pipeline."""
+    return judged(docs, **options).where("kept").select(*(F.col("row")[c].alias(c) for c in docs.columns))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

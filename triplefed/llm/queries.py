@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from triplefed.llm import chat_format, license_scan, mixing, packing, quality_rules, token_count, toxicity, url_filter, vector_search
+from triplefed.llm import chat_format, license_scan, mixing, near_duplicates, packing, quality_rules, token_count, toxicity, url_filter, vector_search
 
 QUERIES = {
     "op1_url_filter": url_filter.query,
@@ -10,6 +10,7 @@ QUERIES = {
     "op3_chat_format": chat_format.query,
     "op4_toxicity": toxicity.query,
     "op5_license_scan": license_scan.query,
+    "op6_near_duplicates": near_duplicates.query,
     "op7_token_counts": token_count.query,
     "op8_best_fit_packing": packing.query,
     "op9_quality_rules": quality_rules.query,
