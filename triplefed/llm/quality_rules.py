@@ -38,15 +38,11 @@ COMMON = {
 }
 
 
-def divergence(p: list[Column], q: list[float]) -> Column:
-    """Jensen-Shannon distance of two histograms that each sum to 1."""
-    out: Column = F.lit(0.0)
-    for a, b in zip(p, q, strict=True):
-        if b > 0:
-            out = out + F.when(a > 0, a * F.log2(2 * a / (a + b))).otherwise(0.0) + b * F.log2(2 * b / (a + b))
-        else:
-            out = out + a
-    return F.sqrt(F.greatest(F.lit(0.0), out / 2))
+def divergence(p: Column, q: list[float]) -> Column:
+    """Jensen-Shannon distance of two histograms, arrays that each sum to 1."""
+    part = lambda x, y: F.when(x > 0, x * F.log2(2 * x / (x + y))).otherwise(F.lit(0.0))
+    terms = F.zip_with(p, F.array(*(F.lit(float(x)) for x in q)), lambda a, b: part(a, b) + part(b, a))
+    return F.sqrt(F.greatest(F.lit(0.0), F.aggregate(terms, F.lit(0.0), lambda s, x: s + x) / 2))
 
 
 def _with_next(distance: int):
@@ -98,13 +94,12 @@ def measured(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> Dat
     classes = [F.col("h")[i] for i in range(6)]
     other = F.col("n_chars_") - sum(classes[1:], classes[0])
     d = d.withColumn("p", F.array(*(x / total for x in (*classes[:5], other, classes[5]))))
-    p = [F.col("p")[i] for i in range(7)]
     words = F.greatest(F.col("n_words"), F.lit(1))
-    d = d.withColumn("char_distance", F.least(*(divergence(p, [x / sum(ref) for x in ref]) for ref in CHARACTERS.values())))
+    d = d.withColumn("char_distance", F.least(*(divergence(F.col("p"), [x / sum(ref) for x in ref]) for ref in CHARACTERS.values())))
     distances = []
     for ref in COMMON.values():
         shares = [F.col("k")[vocabulary.index(w)] / words for w in ref]
-        distances.append(divergence([*shares, F.greatest(F.lit(1.0) - sum(shares[1:], shares[0]), F.lit(0.0))], [*ref.values(), 1 - sum(ref.values())]))
+        distances.append(divergence(F.array(*shares, F.greatest(F.lit(1.0) - sum(shares[1:], shares[0]), F.lit(0.0))), [*ref.values(), 1 - sum(ref.values())]))
     return d.withColumn("word_distance", F.least(*distances))
 
 
@@ -124,8 +119,13 @@ def judge(docs: DataFrame, **options) -> DataFrame:
 
 
 def good_documents(docs: DataFrame, **options) -> DataFrame:
-    """The rows that are kept, with all their columns: a stage of a pipeline."""
-    return judged(docs, **options).where("kept").select(*(F.col("row")[c].alias(c) for c in docs.columns))
+    """The rows that are kept, with all their columns: a stage of a pipeline.
+
+    The verdict passes through a generator, below which no filter is pushed: pushed down, it would be expanded into
+    every expression that it stands on, several times over.
+    """
+    verdict = judged(docs, **options).select(F.explode(F.array(F.struct("kept", "row"))).alias("x"))
+    return verdict.where("x.kept").select("x.row.*")
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
