@@ -4,10 +4,10 @@ from __future__ import annotations
 
 
 def all_queries() -> tuple[dict, dict]:
-    from triplefed.queries import methods
+    from triplefed.queries import methods, surface
 
     found, checks = {}, {}
-    for module in (methods,):
+    for module in (methods, surface):
         q, o = module.queries()
         found |= q
         checks |= o
