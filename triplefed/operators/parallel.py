@@ -50,6 +50,14 @@ def colocated(module: DataFrame, workers: int) -> DataFrame:
 
 
 def exchanges(df: DataFrame) -> int:
-    """Exchanges in the physical plan."""
-    plan = df._jdf.queryExecution().executedPlan().toString()
-    return sum(1 for line in plan.splitlines() if "Exchange " in line.replace("ReusedExchange", "Exchange") and "InMemory" not in line and "== Initial" not in line)
+    """Exchanges in the physical plan, without those by which a table kept in memory was made."""
+    n, kept_at = 0, None
+    for line in df._jdf.queryExecution().executedPlan().toString().splitlines():
+        depth = len(line) - len(line.lstrip(" :+-"))
+        if line.startswith("+- == Initial Plan") or "== Initial Plan ==" in line:
+            break
+        if kept_at is not None and depth > kept_at:
+            continue
+        kept_at = depth if "InMemoryRelation" in line else None
+        n += "Exchange " in line
+    return n
