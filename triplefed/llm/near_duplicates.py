@@ -4,13 +4,13 @@ A document's set holds the hashes of its word shingles. Documents with equal set
 speaks for it; classes are what is joined. Independent trees branch the classes: at each node one, at some nodes two, of
 the minwise tokens are chosen by the node's path, and a class goes to the branch of its value of the token. Nodes of at
 most ``node_rows`` are compared exhaustively on sketches of minwise bytes; larger ones branch again. A node that keeps
-its size after ``depth`` tokens holds classes that are all alike; it is cut by pivots: each class goes with the most
-similar of a few of them and is a candidate with that pivot.
+its size after ``depth`` tokens holds classes that are all alike; it is cut by pivots: each class goes with the two
+most similar of a few of them and is a candidate with both, and the pivots are compared with each other.
 
-Candidates are confirmed on full sets, in rounds that follow the components found so far: a round proposes, for each
-class, its best candidates in other components, few at first, then more, and at last all of them, so that no group is
-ever expanded into all pairs unless hardly any of them are links. Links are joined into components in rounds of star
-contractions. Nothing but counts goes to the driver.
+A pair is looked at in its first common node only. Classes without a candidate stop there; the full sets of the others
+are brought to their nodes, where candidates are confirmed exactly and only links that join something come out, so that
+no group is ever expanded into all its pairs. Links are joined into components in rounds of star contractions. Nothing
+but counts goes to the driver.
 
 Defined cases: A-Z are lower-cased; with fewer words than a shingle has, the whole sequence is one; a null, empty or blank
 text has an empty set, is linked with nothing and is kept; rows of one id are one document with its first text; rows
@@ -33,11 +33,11 @@ PATHS, SKETCH = 24, 128
 TREES, NODE_ROWS, DEPTH = 8, 4096, 6
 #: How many standard deviations of the sketch a candidate may fall short of the threshold.
 SLACK = 3.7
-#: Candidates of a class in each round; the last round has all.
-ROUNDS = (2, 16, 128, None)
 #: Word hashes that a task keeps.
 CACHE = 500_000
 PIVOTS = 64
+#: Stands for a pivot where the pivots of a node meet.
+TOGETHER = -(1 << 62)
 
 
 class WordHashes(dict):
@@ -136,8 +136,8 @@ def small_nodes(classes: DataFrame, similarity: float, trees: int, node_rows: in
         if level < depth:
             rows = wide.select("rep", F.explode(_branch(F.col("node"), chance)).alias("node"))
             continue
-        cells = materialize(_cells(wide))
-        pairs.append(cells.where("rep <> pivot").select(F.least("rep", "pivot").alias("a"), F.greatest("rep", "pivot").alias("b")))
+        cells = materialize(_cells(wide, max(2, min(PIVOTS, node_rows // 4))))
+        pairs.append(cells.where(f"rep <> pivot AND pivot <> {TOGETHER}").select(F.least("rep", "pivot").alias("a"), F.greatest("rep", "pivot").alias("b")))
         rows = cells.select("rep", F.xxhash64("node", "pivot").alias("node"))
     out = done[0]
     for d in done[1:]:
@@ -148,98 +148,146 @@ def small_nodes(classes: DataFrame, similarity: float, trees: int, node_rows: in
     return materialize(out.distinct()), found.distinct()
 
 
-def _cells(wide: DataFrame) -> DataFrame:
-    """node, rep, pivot: the most similar of about ``PIVOTS`` classes of the node, drawn by hash."""
-    draw = F.pmod(F.xxhash64("rep", "node"), F.lit(1 << 40)) < (F.lit(PIVOTS) / F.col("size") * (1 << 40)).cast("long")
-    pivots = materialize(wide.where(draw).groupBy("node").agg(F.collect_list(F.struct("rep", "sketch")).alias("pivots")))
+def _cells(wide: DataFrame, pivots: int) -> DataFrame:
+    """node, rep, pivot: the two most similar (one, of fewer than 16) of about so many classes drawn by hash. The
+    pivots themselves come together once more, under ``TOGETHER``. Chance settles ties, so alike classes spread."""
+    draw = F.pmod(F.xxhash64("rep", "node"), F.lit(1 << 40)) < (F.lit(pivots) / F.col("size") * (1 << 40)).cast("long")
+    drawn = materialize(wide.where(draw).groupBy("node").agg(F.collect_list(F.struct("rep", "sketch")).alias("pivots")))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            best = []
-            for rep, sketch, pivots_ in zip(batch["rep"].to_pylist(), batch["sketch"].to_pylist(), batch["pivots"].to_pylist(), strict=True):
-                if not pivots_:
-                    best.append(rep)
-                    continue
-                m = np.frombuffer(b"".join(p["sketch"] for p in pivots_), np.uint8).reshape(-1, SKETCH)
-                best.append(pivots_[int((m == np.frombuffer(sketch, np.uint8)).sum(axis=1).argmax())]["rep"])
-            yield pa.RecordBatch.from_arrays([batch["node"], batch["rep"], pa.array(best, pa.int64())], names=["node", "rep", "pivot"])
-
-    return wide.join(pivots, "node", "left").select("node", "rep", "sketch", "pivots").mapInArrow(run, "node long, rep long, pivot long")
-
-
-def propose(rows: DataFrame, least: int, ratio: float, best: int | None, parts: int) -> DataFrame:
-    """a, b, more: for each class the ``best`` candidates of its nodes in other components; ``more`` if it had others.
+            out: list[tuple[int, int, int]] = []
+            for node, rep, sketch, some in zip(batch["node"].to_pylist(), batch["rep"].to_pylist(), batch["sketch"].to_pylist(), batch["pivots"].to_pylist(), strict=True):
+                ids = np.array([p["rep"] for p in some or [{"rep": rep}]], np.int64)
+                alike = np.zeros(len(ids))
+                if some:
+                    m = np.frombuffer(b"".join(p["sketch"] for p in some), np.uint8).reshape(-1, SKETCH)
+                    alike = (m == np.frombuffer(sketch, np.uint8)).sum(axis=1).astype(float)
+                alike += ((ids ^ np.int64(rep)).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(44)) / float(1 << 21)
+                out += [(node, rep, int(ids[k])) for k in np.argsort(-alike)[:2 if len(ids) >= 16 else 1]]
+                if rep in ids:
+                    out.append((node, rep, TOGETHER))
+            a, b, c = zip(*out) if out else ((), (), ())
+            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64()), pa.array(c, pa.int64())], names=["node", "rep", "pivot"])
+
+    return wide.join(drawn, "node", "left").select("node", "rep", "sketch", "pivots").mapInArrow(run, "node long, rep long, pivot long")
+
+
+def _by_node(batches: Iterator[pa.RecordBatch]) -> Iterator[list[pa.RecordBatch]]:
+    """The rows of one node after another, from batches sorted by node; a node is bounded, so is what is held."""
+    held: list[pa.RecordBatch] = []
+    current = None
+    for batch in batches:
+        nodes = batch["node"].to_numpy()
+        lo = 0
+        for hi in [*(np.flatnonzero(np.diff(nodes)) + 1).tolist(), len(nodes)]:
+            if hi == lo:
+                continue
+            if held and nodes[lo] != current:
+                yield held
+                held = []
+            held.append(batch.slice(lo, hi - lo))
+            current = nodes[lo]
+            lo = hi
+    if held:
+        yield held
+
+
+class Node:
+    """The classes of one node: their sketches, sizes, and all the nodes that each is in."""
+
+    def __init__(self, held: list[pa.RecordBatch], least: int, ratio: float):
+        column = lambda name: np.concatenate([h[name].to_numpy(zero_copy_only=False) for h in held])
+        self.id = held[0]["node"][0].as_py()
+        self.rep, self.n = column("rep"), column("n")
+        self.sketch = np.frombuffer(b"".join(x for h in held for x in h["sketch"].to_pylist()), np.uint8).reshape(-1, SKETCH)
+        lists = [x for h in held for x in h["nodes"].to_pylist()]
+        self.nodes = np.empty((len(lists), max(map(len, lists))), np.int64)
+        for i, x in enumerate(lists):
+            self.nodes[i] = x + [x[0]] * (self.nodes.shape[1] - len(x))
+        self.least, self.ratio = least, ratio
+
+    def __len__(self) -> int:
+        return len(self.rep)
+
+    def candidates(self, i: int) -> np.ndarray:
+        """Later classes whose sketches are alike enough and whose first common node is this one."""
+        rest = slice(i + 1, len(self))
+        fits = (np.minimum(self.n[i], self.n[rest]) >= self.ratio * np.maximum(self.n[i], self.n[rest])).nonzero()[0] + i + 1
+        if len(fits):
+            fits = fits[(self.sketch[fits] == self.sketch[i]).sum(axis=1) >= self.least]
+        if len(fits):
+            common = (self.nodes[fits][:, :, None] == self.nodes[i][None, None, :]).any(axis=2)
+            fits = fits[np.where(common, self.nodes[fits], np.iinfo(np.int64).max).min(axis=1) == self.id]
+        return fits
+
+
+def worth_confirming(rows: DataFrame, least: int, ratio: float) -> DataFrame:
+    """node, rep of the classes that have a candidate in the node. ``rows``: node, rep, n, sketch, nodes."""
 
-    ``rows``: node, rep, n, component, sketch. Nodes are streamed, sorted; a node is bounded, so is the memory.
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        nodes: list[int] = []
+        reps: list[np.ndarray] = []
+        for held in _by_node(batches):
+            node = Node(held, least, ratio)
+            has = np.zeros(len(node), bool)
+            for i in range(len(node) - 1):
+                found = node.candidates(i)
+                if len(found):
+                    has[i] = has[found] = True
+            if has.any():
+                reps.append(node.rep[has])
+                nodes += [node.id] * len(reps[-1])
+            if len(nodes) > 50_000:
+                yield pa.RecordBatch.from_arrays([pa.array(nodes, pa.int64()), pa.array(np.concatenate(reps), pa.int64())], names=["node", "rep"])
+                nodes, reps = [], []
+        if nodes:
+            yield pa.RecordBatch.from_arrays([pa.array(nodes, pa.int64()), pa.array(np.concatenate(reps), pa.int64())], names=["node", "rep"])
+
+    return rows.repartition("node").sortWithinPartitions("node", "rep").mapInArrow(run, "node long, rep long")
+
+
+def confirmed(rows: DataFrame, least: int, ratio: float, percent: int) -> DataFrame:
+    """a, b: links that join what a node knows as apart, confirmed on full sets. ``rows``: also set.
+
+    A class is compared with all its candidates at once: its set is marked among the node's shingles, and the marks
+    under each candidate's set are summed. Candidates that are joined already are passed over, so a node gives fewer
+    links than it has classes.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[pa.RecordBatch] = []
-        out: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
-        current = None
-        for batch in batches:
-            nodes = batch["node"].to_numpy()
-            cuts = np.flatnonzero(np.diff(nodes)) + 1
-            lo = 0
-            for hi in [*cuts.tolist(), len(nodes)]:
-                if hi == lo:
+        a: list[int] = []
+        b: list[int] = []
+        for held in _by_node(batches):
+            node = Node(held, least, ratio)
+            _, ids = np.unique(np.concatenate([h["set"].flatten().to_numpy() for h in held]), return_inverse=True)
+            starts = np.concatenate([[0], np.cumsum(node.n)])
+            label = np.arange(len(node))
+            marks = np.zeros(int(ids.max()) + 1, np.int32)
+            for i in range(len(node) - 1):
+                found = node.candidates(i)
+                found = found[label[found] != label[i]]
+                if not len(found):
                     continue
-                if current is not None and nodes[lo] != current and held:
-                    out.append(compare(held, least, ratio, best))
-                    held = []
-                held.append(batch.slice(lo, hi - lo))
-                current = nodes[lo]
-                lo = hi
-            if sum(len(x[0]) for x in out) > 10_000:
-                yield _pairs(out)
-                out = []
-        if held:
-            out.append(compare(held, least, ratio, best))
-        if out:
-            yield _pairs(out)
-
-    return rows.repartition(parts, "node").sortWithinPartitions("node", "rep").mapInArrow(run, "a long, b long, more boolean")
-
-
-def _pairs(found: list[tuple[np.ndarray, np.ndarray, np.ndarray]]) -> pa.RecordBatch:
-    a, b, more = (np.concatenate([x[i] for x in found]) for i in range(3))
-    return pa.RecordBatch.from_arrays([pa.array(np.minimum(a, b), pa.int64()), pa.array(np.maximum(a, b), pa.int64()), pa.array(more, pa.bool_())], names=["a", "b", "more"])
-
-
-_NONE = (np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0, bool))
-
-
-def compare(held: list[pa.RecordBatch], least: int, ratio: float, best: int | None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """All pairs of one node on their sketches, by blocks of rows."""
-    column = lambda name: np.concatenate([h[name].to_numpy(zero_copy_only=False) for h in held])
-    rep, n, component = column("rep"), column("n"), column("component")
-    m = len(rep)
-    if m < 2 or (component == component[0]).all():
-        return _NONE
-    sketch = np.frombuffer(b"".join(s for h in held for s in h["sketch"].to_pylist()), np.uint8).reshape(m, SKETCH)
-    left, right, more = [], [], []
-    step = max(1, 2_000_000 // (m * SKETCH))
-    for lo in range(0, m, step):
-        hi = min(m, lo + step)
-        same = (sketch[lo:hi, None, :] == sketch[None, :, :]).sum(axis=2, dtype=np.int16)
-        same[component[lo:hi, None] == component[None, :]] = -1
-        small, large = np.minimum(n[lo:hi, None], n[None, :]), np.maximum(n[lo:hi, None], n[None, :])
-        same[small < ratio * large] = -1
-        if best is not None and m > best:
-            top = np.argpartition(-same, best - 1, axis=1)[:, :best]
-            ok = np.take_along_axis(same, top, 1) >= least
-            cut = (same >= least).sum(axis=1) > best
-            i, j = np.nonzero(ok)
-            left.append(rep[lo + i])
-            right.append(rep[top[i, j]])
-            more.append(cut[i])
-        else:
-            i, j = np.nonzero(same >= least)
-            keep = lo + i < j
-            left.append(rep[lo + i[keep]])
-            right.append(rep[j[keep]])
-            more.append(np.zeros(int(keep.sum()), bool))
-    return np.concatenate(left), np.concatenate(right), np.concatenate(more)
+                own = ids[starts[i]:starts[i + 1]]
+                marks[own] = 1
+                for lo in range(0, len(found), 256):
+                    some = found[lo:lo + 256]
+                    of = np.concatenate([ids[starts[j]:starts[j + 1]] for j in some])
+                    both = np.add.reduceat(marks[of], np.concatenate([[0], np.cumsum(node.n[some])[:-1]])).astype(np.int64)
+                    for j in some[100 * both >= percent * (node.n[i] + node.n[some] - both)]:
+                        if label[j] != label[i]:
+                            a.append(int(node.rep[i]))
+                            b.append(int(node.rep[j]))
+                            label[label == label[j]] = label[i]
+                marks[own] = 0
+            if len(a) > 50_000:
+                yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
+                a, b = [], []
+        if a:
+            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
+
+    return rows.repartition("node").sortWithinPartitions("node", "rep").mapInArrow(run, "a long, b long")
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -270,7 +318,6 @@ def duplicate_groups(docs: DataFrame, words: int = 5, percent: int = 80, trees:
     spark = docs.sparkSession
     ship(spark)
     similarity = percent / 100
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     known = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     marked = materialize(sketches(known, words))
     filled = marked.where("n_shingles > 0 AND doc_id IS NOT NULL")
@@ -280,27 +327,16 @@ def duplicate_groups(docs: DataFrame, words: int = 5, percent: int = 80, trees:
     reps = filled.join(classes.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi")
     reps = materialize(reps.dropDuplicates(["doc_id"]).select(F.col("doc_id").alias("rep"), F.col("n_shingles").alias("n"), "paths", "sketch"))
     nodes, pivoted = small_nodes(reps, similarity, trees, node_rows, depth)
-    wide = materialize(nodes.join(reps.drop("paths"), "rep"))
     least = int(SKETCH * (similarity - SLACK * (similarity * (1 - similarity) / SKETCH) ** 0.5))
-    label, links, tried, sets = None, None, None, None
-    for best in ROUNDS:
-        rows = wide.withColumn("component", F.col("rep")) if label is None else wide.join(label, "rep", "left").withColumn("component", F.coalesce("component", "rep"))
-        found = materialize(propose(rows, least, similarity, best, parts))
-        new = found.select("a", "b").unionByName(pivoted) if tried is None else found.select("a", "b")
-        new = new.distinct()
-        if tried is not None:
-            new = new.join(tried, ["a", "b"], "left_anti")
-        new = materialize(new)
-        if sets is None:
-            # every class that can ever be proposed is in a first proposal, or is a pivot's
-            ends = new.select(F.col("a").alias("doc_id")).unionByName(new.select(F.col("b").alias("doc_id"))).distinct()
-            sets = materialize(full_sets(known.join(ends, "doc_id", "left_semi"), words).dropDuplicates(["rep"]))
-        confirmed = materialize(confirm(new, sets, percent))
-        links = confirmed.where("linked").select("a", "b") if links is None else links.unionByName(confirmed.where("linked").select("a", "b"))
-        tried = new if tried is None else tried.unionByName(new)
-        label = materialize(components(links))
-        if found.where("more").isEmpty():
-            break
+    places = nodes.groupBy("rep").agg(F.sort_array(F.collect_list("node")).alias("nodes"))  # a few for each tree
+    wide = materialize(reps.drop("paths").join(places, "rep"))
+    near = materialize(worth_confirming(nodes.join(wide, "rep").select("node", "rep", "n", "sketch", "nodes"), least, similarity))
+    ends = near.select("rep").unionByName(pivoted.select(F.col("a").alias("rep"))).unionByName(pivoted.select(F.col("b").alias("rep"))).distinct()
+    sets = materialize(full_sets(known.join(ends.withColumnRenamed("rep", "doc_id"), "doc_id", "left_semi"), words).dropDuplicates(["rep"]))
+    links = materialize(confirmed(near.join(wide.join(sets, "rep"), "rep").select("node", "rep", "n", "sketch", "nodes", "set"), least, similarity, percent))
+    if not pivoted.isEmpty():
+        links = links.unionByName(confirm(pivoted, sets, percent).where("linked").select("a", "b"))
+    label = materialize(components(links))
     out = marked.select("doc_id", "n_shingles").join(member, "doc_id", "left").join(label, "rep", "left")
     # a component's smallest class representative is its smallest document: representatives are the smallest of theirs
     out = out.withColumn("component_id", F.coalesce("component", "rep", "doc_id"))
@@ -316,8 +352,10 @@ def confirm(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
 def first_of_groups(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame:
     """The documents without all but one of each group: a stage of a pipeline."""
-    kept = duplicate_groups(docs, words, percent).where(F.col("kept") & F.col("doc_id").isNotNull()).select("doc_id").distinct()
-    return docs.join(kept, "doc_id", "left_semi").unionByName(docs.where(F.col("doc_id").isNull())).select(*docs.columns)
+    # the ids that go are fewer than those that stay, and few enough, mostly, that no text has to move
+    gone = materialize(duplicate_groups(docs, words, percent).where("NOT kept").select(F.col("doc_id").alias("__id")).distinct())
+    first = docs.join(gone, docs["doc_id"] == gone["__id"], "left_anti")
+    return first.select(*(docs[c] for c in docs.columns))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
