@@ -103,29 +103,32 @@ def measured(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> Dat
     return d.withColumn("word_distance", F.least(*distances))
 
 
-def judged(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", char_limit: float = CHAR_LIMIT, word_limit: float = WORD_LIMIT, min_words: int = MIN_WORDS, min_chars: int = MIN_CHARS) -> DataFrame:
-    """``measured`` with base_failed and kept; distances are null below the minimum lengths."""
+OUT = ("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "char_distance", "word_distance")
+
+
+def _judged(docs: DataFrame, columns: tuple[str, ...], doc_id: str = "doc_id", text: str = "text", char_limit: float = CHAR_LIMIT, word_limit: float = WORD_LIMIT, min_words: int = MIN_WORDS, min_chars: int = MIN_CHARS) -> DataFrame:
+    """``measured`` with base_failed and kept; distances are null below the minimum lengths.
+
+    The rows pass through a generator, below which no filter is pushed: pushed down, a filter on the verdict would be
+    expanded into every expression that it stands on, several times over.
+    """
     m = measured(docs, doc_id, text)
     m = m.withColumn("base_failed", (F.col("n_words") < 20) | (100 * F.col("n_repeat_words") > 30 * F.col("n_words")))
     m = m.withColumn("char_distance", F.when(F.col("n_chars_") >= min_chars, F.col("char_distance")))
     m = m.withColumn("word_distance", F.when(F.col("n_words") >= min_words, F.col("word_distance")))
     far = (F.coalesce(F.col("char_distance"), F.lit(0.0)) > char_limit) | (F.coalesce(F.col("word_distance"), F.lit(0.0)) > word_limit)
-    return m.withColumn("kept", ~F.col("base_failed") & ~far)
+    m = m.withColumn("kept", ~F.col("base_failed") & ~far)
+    return m.select(F.explode(F.array(F.struct(*columns))).alias("x")).select("x.*")
 
 
 def judge(docs: DataFrame, **options) -> DataFrame:
     """doc_id, the base counts, base_failed, kept, and both distances."""
-    return judged(docs, **options).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "char_distance", "word_distance")
+    return _judged(docs, OUT, **options)
 
 
 def good_documents(docs: DataFrame, **options) -> DataFrame:
-    """The rows that are kept, with all their columns: a stage of a pipeline.
-
-    The verdict passes through a generator, below which no filter is pushed: pushed down, it would be expanded into
-    every expression that it stands on, several times over.
-    """
-    verdict = judged(docs, **options).select(F.explode(F.array(F.struct("kept", "row"))).alias("x"))
-    return verdict.where("x.kept").select("x.row.*")
+    """The rows that are kept, with all their columns: a stage of a pipeline."""
+    return _judged(docs, ("kept", "row"), **options).where("kept").select("row.*")
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
