@@ -57,7 +57,13 @@ def targets(sizes: DataFrame, weights: int = 3, most: int = MOST) -> DataFrame:
 
 
 def mix(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", source: str = "source", weights: int = 3, most: int = MOST) -> DataFrame:
-    """Per document: doc_id, source, size, source_size, target, passes (0 to ``most``) and taken (size times passes).
+    """Per document: doc_id, source, size, source_size, target, passes (0 to ``most``) and taken (size times passes)."""
+    out = _queues(docs, doc_id, text, source, weights, most)
+    return out.select("doc_id", "source", "size", "source_size", "target", "passes", (F.col("size") * F.col("passes")).alias("taken"))
+
+
+def _queues(docs: DataFrame, doc_id: str, text: str, source: str, weights: int, most: int) -> DataFrame:
+    """All documents with their place in their queue and their passes.
 
     The text is read once, to count; what is sorted are rows of four numbers. Queues are cut into buckets (see
     ``ranked``), so a source with a third of all rows is spread like any other.
@@ -74,8 +80,7 @@ def mix(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", source: str
     else:
         passes = sum((F.when(_upto(_finish(e), last), 1).otherwise(0) for e in range(1, most + 1)), F.lit(0))
         passes = F.when(F.col("size") > 0, passes).otherwise(0)
-    out = queued.withColumn("passes", passes.cast("int"))
-    return out.select("doc_id", "source", "size", "source_size", "target", "passes", (F.col("size") * F.col("passes")).alias("taken"))
+    return queued.withColumn("passes", passes.cast("int"))
 
 
 def _finish(epoch: int) -> Column:
@@ -115,11 +120,20 @@ def _last_pass(queued: DataFrame, most: int) -> tuple | None:
     return tuple(found[0]) if found else (low - margin, 0, 0, 0)
 
 
-def mixed_documents(docs: DataFrame, most: int = MOST) -> DataFrame:
-    """The documents of the mix with their own columns; one taken in several passes comes as often."""
-    taken = mix(docs, most=most).where("passes > 0").groupBy("doc_id").agg(F.max("passes").alias("__passes"))
-    again = docs.join(taken, docs["doc_id"].eqNullSafe(taken["doc_id"])).drop(taken["doc_id"])
-    return again.withColumn("__pass", F.explode(F.sequence(F.lit(1), "__passes"))).select(*(docs[c] for c in docs.columns))
+def mixed_documents(docs: DataFrame, weights: int = 3, most: int = MOST) -> DataFrame:
+    """The documents of the mix with their own columns; one taken in several passes comes as often.
+
+    What a pass takes of a source is the front of its queue, so the last place taken says it all: no text moves, and
+    what is joined is one row for each source. Rows alike in id and size share a place and go together.
+    """
+    place = lambda size: F.struct(shuffle_column().alias("order"), F.coalesce("doc_id", F.lit(-1)).alias("id"), size.alias("size"))
+    queues = _queues(docs, "doc_id", "text", "source", weights, most).withColumn("place", place(F.col("size")))
+    fronts = queues.groupBy(F.col("source").alias("__source")).agg(*(F.max(F.when(F.col("passes") >= e, F.col("place"))).alias(f"__last{e}") for e in range(1, most + 1)))
+    fronts = materialize(fronts)
+    found = docs.withColumn("__size", size_column()).join(fronts, docs["source"].eqNullSafe(fronts["__source"]))
+    passes = sum((F.when(place(F.col("__size")) <= F.col(f"__last{e}"), 1).otherwise(0) for e in range(1, most + 1)), F.lit(0))
+    found = found.withColumn("__passes", F.when(F.col("__size") > 0, passes).otherwise(0)).where("__passes > 0")
+    return found.withColumn("__pass", F.explode(F.sequence(F.lit(1), "__passes"))).select(*(docs[c] for c in docs.columns))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
