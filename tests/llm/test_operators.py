@@ -181,6 +181,28 @@ def test_near_duplicates(spark, docs, texts, words, percent, rows, depth):
     assert got == brute_groups(every, words, percent)
 
 
+def boilerplate_pairs(n):
+    """2 n texts of 198 words that share 160; texts 2 i and 2 i + 1 share 176, a similarity of 0.8, others one of 0.678."""
+    shared = [f"b{k}" for k in range(160)]
+    return {2 * i + h: " ".join(shared + [f"p{i}x{k}" for k in range(16)] + [f"u{i}x{h}x{k}" for k in range(22)]) for i in range(n) for h in (0, 1)}
+
+
+def test_near_duplicates_in_large_nodes(spark):
+    made = boilerplate_pairs(250)
+    df = spark.createDataFrame(list(made.items()), "doc_id long, text string")
+    got = {r["doc_id"]: r["component_id"] for r in near_duplicates.duplicate_groups(df, 1, 80, node_rows=32).collect()}
+    # sketches may miss a link at the very threshold, nodes may not
+    assert all(got[i] in (i, i - i % 2) for i in made) and sum(got[i] == i - 1 for i in made) >= 0.99 * len(made) / 2
+
+
+def test_trees_follow_from_recall():
+    for similarity, depth, recall in ((0.8, 2, 0.9999), (0.85, 2, 0.9999), (0.8, 6, 0.99)):
+        n = near_duplicates.trees_for(similarity, depth, recall)
+        missed = 1 - similarity**depth
+        assert missed**n <= 1 - recall < missed ** (n - 1)
+    assert near_duplicates.trees_for(1.0, 2, 0.9999) == 1
+
+
 def test_near_duplicates_without_rows(spark, empty):
     assert near_duplicates.duplicate_groups(empty).count() == 0
     odd = spark.createDataFrame([(None, "a b c"), (1, None), (2, None)], "doc_id long, text string")

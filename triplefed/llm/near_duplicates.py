@@ -1,11 +1,15 @@
 """Near duplicates by a chosen-path set similarity join.
 
 A document's set holds the hashes of its word shingles. Documents with equal sets are one class, whose first document
-speaks for it; classes are what is joined. Independent trees branch the classes: at each node one, at some nodes two, of
-the minwise tokens are chosen by the node's path, and a class goes to the branch of its value of the token. Nodes of at
-most ``node_rows`` are compared exhaustively on sketches of minwise bytes; larger ones branch again. A node that keeps
-its size after ``depth`` tokens holds classes that are all alike; it is cut by pivots: each class goes with the two
-most similar of a few of them and is a candidate with both, and the pivots are compared with each other.
+speaks for it; classes are what is joined. Independent trees branch the classes: at each level one, at some nodes two, of
+the tree's own minwise tokens are taken, and a class goes to the branch of its value of the token. Nodes of at most
+``node_rows`` are compared exhaustively on sketches of minwise bytes; larger ones branch again, down to ``depth``. There
+are so many trees that a link at the very threshold stays together, down to the last level, in one of them with
+probability ``recall`` or more.
+
+A node that is still larger at ``depth`` is settled without loss. Links of its classes to the two most similar of a few
+pivots come first, and only tell what is joined already. Then all its classes outside the largest of these groups meet
+each other and that group, block against block, so work grows with the square of what is left apart, not of alike copies.
 
 A pair is looked at in its first common node only. Classes without a candidate stop there; the full sets of the others
 are brought to their nodes, where candidates are confirmed exactly and only links that join something come out, so that
@@ -19,6 +23,7 @@ without an id have no component and are kept; an empty table gives no rows; only
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -28,16 +33,18 @@ from pyspark.sql import functions as F
 
 from triplefed.llm.common import materialize, ship, table
 
-#: Minwise tokens to branch by, and bytes of minwise tokens to compare.
-PATHS, SKETCH = 24, 128
-TREES, NODE_ROWS, DEPTH = 8, 4096, 6
+#: Bytes of minwise tokens to compare.
+SKETCH = 128
+#: Tokens of a tree at a level.
+TOKENS = 2
+#: Least share of links at the very threshold that the trees bring together.
+RECALL = 0.9999
+NODE_ROWS, DEPTH = 4096, 2
 #: How many standard deviations of the sketch a candidate may fall short of the threshold.
 SLACK = 3.7
 #: Word hashes that a task keeps.
 CACHE = 500_000
 PIVOTS = 64
-#: Stands for a pivot where the pivots of a node meet.
-TOGETHER = -(1 << 62)
 
 
 class WordHashes(dict):
@@ -78,12 +85,19 @@ def minwise(s: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return out
 
 
-def sketches(docs: DataFrame, words: int) -> DataFrame:
+def trees_for(similarity: float, depth: int, recall: float) -> int:
+    """How many trees bring a pair of this similarity together, all levels down, with probability ``recall``. Only the
+    first token of each node counts; where a node takes two, recall is better."""
+    missed = 1 - similarity**depth
+    return 1 if missed <= 0 else max(1, math.ceil(math.log(1 - recall) / math.log(missed)))
+
+
+def sketches(docs: DataFrame, words: int, tokens: int) -> DataFrame:
     """doc_id, n_shingles, f1, f2 (what equal sets share), paths, sketch."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hashes = WordHashes()
-        a, b = _coefficients(PATHS + SKETCH)
+        a, b = _coefficients(tokens + SKETCH)
         for batch in batches:
             n, f1, f2, paths, sketch = [], [], [], [], []
             for text in batch["text"]:
@@ -92,8 +106,8 @@ def sketches(docs: DataFrame, words: int) -> DataFrame:
                 n.append(len(s))
                 f1.append(int(np.bitwise_xor.reduce(s * np.uint64(0xD6E8FEB86659FD93) ^ (s >> np.uint64(17))).view(np.int64)) if len(s) else 0)
                 f2.append(int((s * (s >> np.uint64(7) | np.uint64(1))).sum(dtype=np.uint64).view(np.int64)) if len(s) else 0)
-                paths.append(m[:PATHS].view(np.int32))
-                sketch.append((m[PATHS:] >> np.uint32(11)).astype(np.uint8).tobytes())
+                paths.append(m[:tokens].view(np.int32))
+                sketch.append((m[tokens:] >> np.uint32(11)).astype(np.uint8).tobytes())
             yield pa.RecordBatch.from_arrays([batch["doc_id"], pa.array(n, pa.int64()), pa.array(f1, pa.int64()), pa.array(f2, pa.int64()), pa.array(paths, pa.list_(pa.int32())), pa.array(sketch, pa.binary())], names=["doc_id", "n_shingles", "f1", "f2", "paths", "sketch"])
 
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n_shingles long, f1 long, f2 long, paths array<int>, sketch binary")
@@ -109,68 +123,77 @@ def full_sets(docs: DataFrame, words: int) -> DataFrame:
     return docs.select("doc_id", "text").mapInArrow(run, "rep long, set array<long>")
 
 
-def _branch(node, chance: float):
-    """The values of the tokens chosen at a node, as the nodes below it: one, and another with this chance."""
-    pick = lambda seed: F.pmod(F.xxhash64(node, F.lit(seed)), F.lit(PATHS)).cast("int")
-    below = lambda at: F.xxhash64(node, at, F.get("paths", at))
-    first = below(pick(1))
+def _branch(node, tree, level: int, depth: int, chance: float):
+    """The values of a node's tokens, as the nodes below it: one, and another with this chance. No two trees or levels
+    share a token."""
+    at = (tree * depth + (level - 1)) * TOKENS
+    below = lambda k: F.xxhash64(node, F.lit(k), F.get("paths", at + k))
     more = F.pmod(F.xxhash64(node, F.lit(3)), F.lit(1000)) < int(1000 * chance)
-    return F.array_distinct(F.when(more, F.array(first, below(pick(2)))).otherwise(F.array(first)))
+    return F.array_distinct(F.when(more, F.array(below(0), below(1))).otherwise(F.array(below(0))))
 
 
-def small_nodes(classes: DataFrame, similarity: float, trees: int, node_rows: int, depth: int) -> tuple[DataFrame, DataFrame]:
-    """(node, rep) of all nodes to compare, and (a, b) of classes with their pivots."""
+def nodes_of(classes: DataFrame, similarity: float, trees: int, node_rows: int, depth: int) -> tuple[DataFrame, DataFrame | None]:
+    """(node, rep) of all nodes to compare as they are, and (node, rep, size) of the larger ones that are left."""
     chance = 1 / similarity - 1
     paths = classes.select("rep", "paths")
-    rows = paths.select("rep", F.explode(F.array(*(F.xxhash64(F.lit(t)) for t in range(trees)))).alias("root"), "paths").select("rep", F.explode(_branch(F.col("root"), chance)).alias("node"))
+    rows = paths.select("rep", F.explode(F.sequence(F.lit(0), F.lit(trees - 1))).alias("tree"), "paths")
+    rows = rows.select("rep", "tree", F.explode(_branch(F.xxhash64("tree"), F.col("tree"), 1, depth, chance)).alias("node"))
     done: list[DataFrame] = []
-    pairs: list[DataFrame] = []
-    for level in range(1, 64):
+    left = None
+    for level in range(1, depth + 1):
         rows = materialize(rows)
         sizes = materialize(rows.groupBy("node").agg(F.count(F.lit(1)).alias("size")).where("size > 1"))
-        done.append(rows.join(sizes.where(F.col("size") <= node_rows).select("node"), "node"))
+        done.append(rows.join(sizes.where(F.col("size") <= node_rows).select("node"), "node").select("node", "rep"))
         large = sizes.where(F.col("size") > node_rows)
         if large.isEmpty():
             break
-        wide = rows.join(large, "node").join(classes.select("rep", "paths", "sketch"), "rep")
-        if level < depth:
-            rows = wide.select("rep", F.explode(_branch(F.col("node"), chance)).alias("node"))
-            continue
-        cells = materialize(_cells(wide, max(2, min(PIVOTS, node_rows // 4))))
-        pairs.append(cells.where(f"rep <> pivot AND pivot <> {TOGETHER}").select(F.least("rep", "pivot").alias("a"), F.greatest("rep", "pivot").alias("b")))
-        rows = cells.select("rep", F.xxhash64("node", "pivot").alias("node"))
+        wide = rows.join(large, "node")
+        if level == depth:
+            left = materialize(wide.select("node", "rep", "size"))
+        else:
+            rows = wide.join(paths, "rep").select("rep", "tree", F.explode(_branch(F.col("node"), F.col("tree"), level + 1, depth, chance)).alias("node"))
     out = done[0]
     for d in done[1:]:
         out = out.unionByName(d)
-    found = pairs[0] if pairs else classes.select(F.col("rep").alias("a"), F.col("rep").alias("b")).limit(0)
-    for p in pairs[1:]:
-        found = found.unionByName(p)
-    return materialize(out.distinct()), found.distinct()
+    return materialize(out.distinct()), left
 
 
-def _cells(wide: DataFrame, pivots: int) -> DataFrame:
-    """node, rep, pivot: the two most similar (one, of fewer than 16) of about so many classes drawn by hash. The
-    pivots themselves come together once more, under ``TOGETHER``. Chance settles ties, so alike classes spread."""
+def with_pivots(wide: DataFrame, pivots: int) -> DataFrame:
+    """a, b: each class with the two most similar (one, of fewer than 16) of about so many classes of its node drawn by
+    hash. Chance settles ties, so alike classes spread. ``wide``: node, rep, size, sketch."""
     draw = F.pmod(F.xxhash64("rep", "node"), F.lit(1 << 40)) < (F.lit(pivots) / F.col("size") * (1 << 40)).cast("long")
     drawn = materialize(wide.where(draw).groupBy("node").agg(F.collect_list(F.struct("rep", "sketch")).alias("pivots")))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            out: list[tuple[int, int, int]] = []
-            for node, rep, sketch, some in zip(batch["node"].to_pylist(), batch["rep"].to_pylist(), batch["sketch"].to_pylist(), batch["pivots"].to_pylist(), strict=True):
-                ids = np.array([p["rep"] for p in some or [{"rep": rep}]], np.int64)
-                alike = np.zeros(len(ids))
-                if some:
-                    m = np.frombuffer(b"".join(p["sketch"] for p in some), np.uint8).reshape(-1, SKETCH)
-                    alike = (m == np.frombuffer(sketch, np.uint8)).sum(axis=1).astype(float)
+            out: list[tuple[int, int]] = []
+            for rep, sketch, some in zip(batch["rep"].to_pylist(), batch["sketch"].to_pylist(), batch["pivots"].to_pylist(), strict=True):
+                ids = np.array([p["rep"] for p in some], np.int64)
+                m = np.frombuffer(b"".join(p["sketch"] for p in some), np.uint8).reshape(-1, SKETCH)
+                alike = (m == np.frombuffer(sketch, np.uint8)).sum(axis=1).astype(float)
                 alike += ((ids ^ np.int64(rep)).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(44)) / float(1 << 21)
-                out += [(node, rep, int(ids[k])) for k in np.argsort(-alike)[:2 if len(ids) >= 16 else 1]]
-                if rep in ids:
-                    out.append((node, rep, TOGETHER))
-            a, b, c = zip(*out) if out else ((), (), ())
-            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64()), pa.array(c, pa.int64())], names=["node", "rep", "pivot"])
+                out += [(min(rep, int(ids[k])), max(rep, int(ids[k]))) for k in np.argsort(-alike)[:2 if len(ids) >= 16 else 1] if ids[k] != rep]
+            a, b = zip(*out) if out else ((), ())
+            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
+
+    return wide.join(drawn, "node").select("rep", "sketch", "pivots").mapInArrow(run, "a long, b long")
+
 
-    return wide.join(drawn, "node", "left").select("node", "rep", "sketch", "pivots").mapInArrow(run, "node long, rep long, pivot long")
+def blocks(large: DataFrame, joined: DataFrame, node_rows: int) -> DataFrame:
+    """node, rep, known, part: large nodes cut into pairs of blocks, so that any two classes that are not ``joined`` (rep,
+    component) yet meet in one. ``known`` is what a class is joined to; classes of one ``part`` meet in another pair."""
+    half = max(1, node_rows // 2)
+    rows = materialize(large.join(joined, "rep", "left").select("node", "rep", "size", F.coalesce("component", "rep").alias("known")))
+    most = rows.groupBy("node", "known").agg(F.count(F.lit(1)).alias("n")).groupBy("node").agg(F.max(F.struct("n", "known")).alias("most"))
+    cut = lambda n: F.ceil(n / F.lit(half)).cast("int")
+    rows = rows.join(materialize(most), "node").where("size > most.n").withColumn("apart", cut(F.col("size") - F.col("most.n"))).withColumn("alike", cut(F.col("most.n")))
+    inside = F.col("known") == F.col("most.known")
+    spread = F.xxhash64("rep", "node")
+    rows = rows.withColumn("block", F.when(inside, F.col("apart") + F.pmod(spread, "alike")).otherwise(F.pmod(spread, "apart")).cast("int"))
+    others = F.when(inside, F.sequence(F.lit(0), F.col("apart") - 1)).otherwise(F.sequence(F.lit(0), F.col("apart") + F.col("alike") - 1))
+    rows = rows.select("node", "rep", "known", "block", F.explode(others).alias("other"))
+    cell = F.xxhash64("node", F.least("block", "other"), F.greatest("block", "other"))
+    return rows.select(cell.alias("node"), "rep", "known", F.when(F.col("block") == F.col("other"), F.col("rep")).otherwise(F.col("block").cast("long")).alias("part"))
 
 
 def _by_node(batches: Iterator[pa.RecordBatch]) -> Iterator[list[pa.RecordBatch]]:
@@ -194,17 +217,22 @@ def _by_node(batches: Iterator[pa.RecordBatch]) -> Iterator[list[pa.RecordBatch]
 
 
 class Node:
-    """The classes of one node: their sketches, sizes, and all the nodes that each is in."""
+    """The classes of one node: their sketches, sizes, and all the nodes that each is in, or what they are known to be
+    joined to and their parts."""
 
     def __init__(self, held: list[pa.RecordBatch], least: int, ratio: float):
         column = lambda name: np.concatenate([h[name].to_numpy(zero_copy_only=False) for h in held])
         self.id = held[0]["node"][0].as_py()
         self.rep, self.n = column("rep"), column("n")
         self.sketch = np.frombuffer(b"".join(x for h in held for x in h["sketch"].to_pylist()), np.uint8).reshape(-1, SKETCH)
-        lists = [x for h in held for x in h["nodes"].to_pylist()]
-        self.nodes = np.empty((len(lists), max(map(len, lists))), np.int64)
-        for i, x in enumerate(lists):
-            self.nodes[i] = x + [x[0]] * (self.nodes.shape[1] - len(x))
+        self.blocked = "part" in held[0].schema.names
+        if self.blocked:
+            self.known, self.part = column("known"), column("part")
+        else:
+            lists = [x for h in held for x in h["nodes"].to_pylist()]
+            self.nodes = np.empty((len(lists), max(map(len, lists))), np.int64)
+            for i, x in enumerate(lists):
+                self.nodes[i] = x + [x[0]] * (self.nodes.shape[1] - len(x))
         self.least, self.ratio = least, ratio
 
     def __len__(self) -> int:
@@ -213,17 +241,20 @@ class Node:
     def candidates(self, i: int) -> np.ndarray:
         """Later classes whose sketches are alike enough and whose first common node is this one."""
         rest = slice(i + 1, len(self))
-        fits = (np.minimum(self.n[i], self.n[rest]) >= self.ratio * np.maximum(self.n[i], self.n[rest])).nonzero()[0] + i + 1
+        may = np.minimum(self.n[i], self.n[rest]) >= self.ratio * np.maximum(self.n[i], self.n[rest])
+        if self.blocked:
+            may &= (self.known[rest] != self.known[i]) & (self.part[rest] != self.part[i])
+        fits = may.nonzero()[0] + i + 1
         if len(fits):
             fits = fits[(self.sketch[fits] == self.sketch[i]).sum(axis=1) >= self.least]
-        if len(fits):
+        if len(fits) and not self.blocked:
             common = (self.nodes[fits][:, :, None] == self.nodes[i][None, None, :]).any(axis=2)
             fits = fits[np.where(common, self.nodes[fits], np.iinfo(np.int64).max).min(axis=1) == self.id]
         return fits
 
 
 def worth_confirming(rows: DataFrame, least: int, ratio: float) -> DataFrame:
-    """node, rep of the classes that have a candidate in the node. ``rows``: node, rep, n, sketch, nodes."""
+    """node, rep of the classes that have a candidate in the node. ``rows``: node, rep, n, sketch, and nodes or known, part."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         nodes: list[int] = []
@@ -262,7 +293,7 @@ def confirmed(rows: DataFrame, least: int, ratio: float, percent: int) -> DataFr
             node = Node(held, least, ratio)
             _, ids = np.unique(np.concatenate([h["set"].flatten().to_numpy() for h in held]), return_inverse=True)
             starts = np.concatenate([[0], np.cumsum(node.n)])
-            label = np.arange(len(node))
+            label = np.unique(node.known, return_inverse=True)[1] if node.blocked else np.arange(len(node))
             marks = np.zeros(int(ids.max()) + 1, np.int32)
             for i in range(len(node) - 1):
                 found = node.candidates(i)
@@ -313,29 +344,34 @@ def components(links: DataFrame) -> DataFrame:
         before = now
 
 
-def duplicate_groups(docs: DataFrame, words: int = 5, percent: int = 80, trees: int = TREES, node_rows: int = NODE_ROWS, depth: int = DEPTH) -> DataFrame:
-    """Per document: doc_id, n_shingles, component_id, kept. Links: 100 * intersection >= ``percent`` * union."""
+def duplicate_groups(docs: DataFrame, words: int = 5, percent: int = 80, trees: int | None = None, node_rows: int = NODE_ROWS, depth: int = DEPTH, recall: float = RECALL) -> DataFrame:
+    """Per document: doc_id, n_shingles, component_id, kept. Links: 100 * intersection >= ``percent`` * union. Without
+    ``trees``, there are as many as ``recall`` needs."""
     spark = docs.sparkSession
     ship(spark)
     similarity = percent / 100
     known = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    marked = materialize(sketches(known, words))
+    trees = trees or trees_for(similarity, depth, recall)
+    marked = materialize(sketches(known, words, trees * depth * TOKENS))
     filled = marked.where("n_shingles > 0 AND doc_id IS NOT NULL")
     same = ["f1", "f2", "n_shingles"]
     classes = materialize(filled.groupBy(*same).agg(F.min("doc_id").alias("rep")))
     member = materialize(filled.select("doc_id", *same).join(classes, same).groupBy("doc_id").agg(F.min("rep").alias("rep")))
     reps = filled.join(classes.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi")
     reps = materialize(reps.dropDuplicates(["doc_id"]).select(F.col("doc_id").alias("rep"), F.col("n_shingles").alias("n"), "paths", "sketch"))
-    nodes, pivoted = small_nodes(reps, similarity, trees, node_rows, depth)
+    nodes, large = nodes_of(reps, similarity, trees, node_rows, depth)
     least = int(SKETCH * (similarity - SLACK * (similarity * (1 - similarity) / SKETCH) ** 0.5))
     places = nodes.groupBy("rep").agg(F.sort_array(F.collect_list("node")).alias("nodes"))  # a few for each tree
     wide = materialize(reps.drop("paths").join(places, "rep"))
-    near = materialize(worth_confirming(nodes.join(wide, "rep").select("node", "rep", "n", "sketch", "nodes"), least, similarity))
-    ends = near.select("rep").unionByName(pivoted.select(F.col("a").alias("rep"))).unionByName(pivoted.select(F.col("b").alias("rep"))).distinct()
-    sets = materialize(full_sets(known.join(ends.withColumnRenamed("rep", "doc_id"), "doc_id", "left_semi"), words).dropDuplicates(["rep"]))
-    links = materialize(confirmed(near.join(wide.join(sets, "rep"), "rep").select("node", "rep", "n", "sketch", "nodes", "set"), least, similarity, percent))
-    if not pivoted.isEmpty():
-        links = links.unionByName(confirm(pivoted, sets, percent).where("linked").select("a", "b"))
+    links = within(nodes.join(wide, "rep").select("node", "rep", "n", "sketch", "nodes"), known, words, least, similarity, percent)
+    if large is not None:
+        flat = reps.select("rep", "n", "sketch")
+        pairs = materialize(with_pivots(large.join(flat, "rep"), max(2, min(PIVOTS, node_rows // 4))).distinct())
+        ends = pairs.select(F.col("a").alias("rep")).unionByName(pairs.select(F.col("b").alias("rep"))).distinct()
+        found = materialize(confirm(pairs, sets_of(known, ends, words), percent).where("linked").select("a", "b"))
+        links = materialize(links.unionByName(found))
+        cells = materialize(blocks(large, components(links), node_rows).join(flat, "rep").select("node", "rep", "n", "sketch", "known", "part"))
+        links = links.unionByName(within(cells, known, words, least, similarity, percent))
     label = materialize(components(links))
     out = marked.select("doc_id", "n_shingles").join(member, "doc_id", "left").join(label, "rep", "left")
     # a component's smallest class representative is its smallest document: representatives are the smallest of theirs
@@ -343,6 +379,17 @@ def duplicate_groups(docs: DataFrame, words: int = 5, percent: int = 80, trees:
     return out.select("doc_id", "n_shingles", "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)).alias("kept"))
 
 
+def sets_of(docs: DataFrame, reps: DataFrame, words: int) -> DataFrame:
+    return materialize(full_sets(docs.join(reps.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi"), words).dropDuplicates(["rep"]))
+
+
+def within(rows: DataFrame, docs: DataFrame, words: int, least: int, ratio: float, percent: int) -> DataFrame:
+    """a, b: links inside the nodes of ``rows``, confirmed on the full sets of classes that have a candidate."""
+    near = materialize(worth_confirming(rows, least, ratio))
+    sets = sets_of(docs, near.select("rep").distinct(), words)
+    return materialize(confirmed(near.join(rows, ["node", "rep"]).join(sets, "rep").select(*rows.columns, "set"), least, ratio, percent))
+
+
 def confirm(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     a = sets.select(F.col("rep").alias("a"), F.col("set").alias("sa"))
     b = sets.select(F.col("rep").alias("b"), F.col("set").alias("sb"))
