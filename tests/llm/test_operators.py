@@ -7,6 +7,7 @@ import zlib
 from collections import Counter
 
 import numpy as np
+import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
@@ -324,6 +325,22 @@ def test_vector_search(spark, sf):
     assert few.count() == 2
 
 
+def test_vector_search_keeps_ties_of_scaled_copies(monkeypatch):
+    rng = np.random.RandomState(4)
+    v = rng.randn(16)
+    x = [v * 2.0 ** (i % 20 - 10) for i in range(400)] + [v + 1e-9 * rng.randn(16) for _ in range(100)] + list(rng.randn(500, 16))
+    order = rng.permutation(len(x))
+    index = pd.DataFrame({"id": np.arange(len(x)), "v": [x[i].tolist() for i in order]})
+    m = np.array(index["v"].tolist())
+    for held in (1_000_000, 50):
+        monkeypatch.setattr(vector_search, "HELD_ROWS", held, raising=False)
+        got = vector_search.search_shard(index, index[index["id"] % 50 == 0], 5, 1.0, 32)
+        for q in range(0, len(x), 50):
+            score = vector_search.cosine(np.repeat(m[q][None], len(m), 0), m)
+            want = sorted((-s, i) for i, s in enumerate(score) if i != q)[:5]
+            assert [(-r.score, r.vec_id) for r in got[got["query_id"] == q].itertuples()] == want
+
+
 def test_larger_factor_visits_less_and_still_finds():
     rng = np.random.RandomState(0)
     centres = rng.randn(20, 16)

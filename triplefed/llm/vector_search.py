@@ -4,7 +4,8 @@ Vectors are scaled to length one, where the largest cosine is the smallest dista
 at the median distance from a vantage point, down to leaves. A block of queries goes down a tree together: first each to
 its own leaf, for a first bound, then through all nodes, where a query leaves out a side if the triangle inequality,
 stretched by ``factor``, says that nothing there beats its k-th nearest: side distance * factor > bound. Factor 1 is
-exact; larger factors leave out more. Found vectors are scored anew on the original values in double precision.
+exact; larger factors leave out more. A second pass takes all vectors within the k-th distance and ``SLACK``, so ties and
+near ties come whole; they are scored anew on the original values in double precision, and the best are kept leaf by leaf.
 
 Every vector is indexed; equal vectors take one node and their smallest ids speak for them, which loses nothing, as ties
 go to smaller ids. Shards are of bounded size and so are blocks of queries; each block meets each shard, as any search
@@ -35,6 +36,8 @@ SHARD_ROWS = 20_000
 BLOCK_ROWS = 20_000
 #: Distances closer than this are settled by the exact scores.
 SLACK = 1e-7
+#: Scored rows that a search holds before it keeps the best of them.
+HELD_ROWS = 1_000_000
 
 
 class Tree:
@@ -75,6 +78,26 @@ class Tree:
         self._walk(self.root, np.arange(n))
         return self.found, self.best
 
+    def within(self, q: np.ndarray, bound: np.ndarray, factor: float) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """Query and row numbers of all pairs no farther than the query's bound, leaf by leaf."""
+        stack = [(self.root, np.arange(len(q)))]
+        while stack:
+            at, who = stack.pop()
+            if not len(who):
+                continue
+            node = self.nodes[at]
+            if node[0] is None:
+                rows = self.order[node[1]:node[2]]
+                d = np.sqrt(np.maximum(0.0, 2.0 - 2.0 * (q[who] @ self.x[rows].T)))
+                a, b = np.nonzero(d <= bound[who][:, None])
+                if len(a):
+                    yield who[a], rows[b]
+                continue
+            d = _distance(q[who], self.x[node[0]])
+            for side, (lo, hi) in zip(node[3:], node[1:3], strict=True):
+                gap = np.maximum(0.0, np.maximum(lo - d, d - hi))
+                stack.append((side, who[gap * factor <= bound[who] + SLACK]))
+
     def _home(self, at: int, who: np.ndarray) -> None:
         """Each query to the leaf that it would lie in."""
         self.home = np.full(len(self.q), -1)
@@ -151,21 +174,26 @@ def search_shard(index: pd.DataFrame, queries: pd.DataFrame, k: int, factor: flo
     q = np.array(queries["v"].tolist(), np.float64)
     qid = queries["id"].to_numpy()
     unit = lambda m: m / np.sqrt((m * m).sum(axis=1))[:, None]
-    # a query's own row may take a place, and near ties are settled below: some more are kept
     tree = Tree(unit(raw), leaf)
-    found, _ = tree.search(unit(q), k + 3, factor)
-    out_q, out_g = np.nonzero(found >= 0)
-    groups = found[out_q, out_g]
-    scores = cosine(q[out_q], raw[groups])
-    rows_q, rows_v, rows_s = [], [], []
-    for j in range(k + 1):  # the j-th smallest id of each group
-        has = starts[groups] + j < starts[groups + 1]
-        rows_q.append(qid[out_q[has]])
-        rows_v.append(ids[members[starts[groups[has]] + j]])
-        rows_s.append(scores[has])
-    out = pd.DataFrame({"query_id": np.concatenate(rows_q), "vec_id": np.concatenate(rows_v), "score": np.concatenate(rows_s)})
-    out = out[out["query_id"] != out["vec_id"]].sort_values(["query_id", "score", "vec_id"], ascending=[True, False, True])
-    return out.groupby("query_id", sort=False).head(k)
+    asked = unit(q)
+    # a query's own row may take a place
+    _, best = tree.search(asked, k + 1, factor)
+    bound = np.where(np.isfinite(best[:, -1]), best[:, -1], 2.0) + SLACK
+    out, held, rows = empty, [], 0
+
+    def best_of(parts: list[pd.DataFrame]) -> pd.DataFrame:
+        return pd.concat(parts).sort_values(["query_id", "score", "vec_id"], ascending=[True, False, True]).groupby("query_id", sort=False).head(k)
+
+    for out_q, groups in tree.within(asked, bound, factor):
+        scores = cosine(q[out_q], raw[groups])
+        for j in range(k + 1):  # the j-th smallest id of each group
+            has = starts[groups] + j < starts[groups + 1]
+            part = pd.DataFrame({"query_id": qid[out_q[has]], "vec_id": ids[members[starts[groups[has]] + j]], "score": scores[has]})
+            held.append(part[part["query_id"] != part["vec_id"]])
+            rows += len(held[-1])
+        if rows > HELD_ROWS:
+            out, held, rows = best_of([out, *held]), [], 0
+    return best_of([out, *held])
 
 
 def usable(vectors: DataFrame, vec_id: str, embedding: str) -> DataFrame:
