@@ -290,3 +290,13 @@ def test_sparql(spark, campus):
     assert run("ASK { alpha member ?x }") == [(False,)]
     with pytest.raises(ValueError):
         parse_sparql("DELETE WHERE { ?a b ?c }")
+
+
+@pytest.mark.parametrize("name", ["documents", "embeddings", "pages"])
+def test_large_tables_are_read_whole(spark, sf, name):
+    from triplefed.queries import surface
+
+    queries, sql = surface.queries()
+    got, given = queries[f"src_parquet_{name}_whole"](spark, sf), spark.read.parquet(f"{sf}/{name}.parquet")
+    assert got.columns == given.columns and got.exceptAll(given).isEmpty() and given.exceptAll(got).isEmpty()
+    assert sql[f"src_parquet_{name}_whole"] == f"SELECT * FROM {name}"

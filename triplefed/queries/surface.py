@@ -50,6 +50,7 @@ def queries() -> tuple[dict[str, Callable[[SparkSession, str], DataFrame]], dict
         else:
             key = {"documents": "doc_id", "embeddings": "vec_id", "pages": "page_id"}[t]
             add(f"src_parquet_{t}", lambda s, d, t=t, k=key: T(s, d, t).select(k), f"SELECT {key} FROM {t}")
+            add(f"src_parquet_{t}_whole", lambda s, d, t=t: T(s, d, t), f"SELECT * FROM {t}")
     for form in ("ntriples", "csv", "json", "orc", "partitioned"):
         add(f"sink_{form}", lambda s, d, f=form: formats.round_trip(graph(s, d, "content"), f), f"SELECT s, p, o FROM ({graph_sql('content')})")
     # ---- filters
