@@ -262,23 +262,42 @@ def best_fit(lengths, capacity):
     return len(gaps)
 
 
-def test_plan_is_best_fit_decreasing():
+@pytest.mark.parametrize("part_rows", [200_000, 50])
+def test_rounds_come_near_best_fit_decreasing(spark, monkeypatch, part_rows):
+    monkeypatch.setattr(packing, "PART_ROWS", part_rows)
     rng = random.Random(2)
-    for _ in range(60):
-        lengths = [rng.randint(1, 40) for _ in range(rng.randint(0, 300))]
-        runs = packing.plan(Counter(lengths), 40)
-        placed = [(s0 + k // each, length, o + k % each * length) for length, _, n, s0, each, o in runs for k in range(n)]
-        assert Counter(p[1] for p in placed) == Counter(lengths)
-        sequences = {}
-        for s, length, offset in placed:
-            sequences.setdefault(s, []).append((offset, length))
-        for parts in sequences.values():
-            at = 0
-            for offset, length in sorted(parts):
-                assert offset == at
-                at += length
-            assert at <= 40
-        assert len(sequences) == best_fit(lengths, 40)
+    # a third of one length, many of length 1, full ones
+    lengths = [rng.randint(1, 40) for _ in range(400)] + [13] * 250 + [1] * 80 + [40] * 20
+    df = spark.createDataFrame(list(enumerate(lengths)), "id long, size long")
+    sequences = {}
+    for r in packing.best_fit(df, 40).collect():
+        sequences.setdefault(r["sequence"], []).append(r["id"])
+    assert sorted(i for s in sequences.values() for i in s) == list(range(len(lengths)))
+    assert all(sum(lengths[i] for i in s) <= 40 for s in sequences.values())
+    least = best_fit(lengths, 40)
+    assert len(sequences) <= 1.02 * least + 1
+
+
+def test_a_sweep_gives_each_piece_the_smallest_free_gap(spark):
+    gaps = spark.createDataFrame([(100, 9), (101, 5), (102, 5), (103, 2)], "sequence long, gap long")
+    pieces = spark.createDataFrame([(0, 7), (1, 5), (2, 4), (3, 4), (4, 1)], "id long, size long")
+    got = {r["id"]: r["sequence"] for r in packing.sweep(gaps, pieces, 4, 5, 7).collect()}
+    # one of the pieces of 4 finds every gap that holds it taken
+    assert got[0] == 100 and {got[1], got[2] or got[3]} == {101, 102} and None in (got[2], got[3]) and got[4] == 103
+
+
+def test_encoder_agrees_with_the_library():
+    from tokenizers import Tokenizer
+
+    path = token_count.tokenizer_path("word_bpe_49k.json")
+    lib, mine = Tokenizer.from_file(path), packing.encoder(path)
+    same = lambda t: mine.encode(t) == np.array(lib.encode(t, add_special_tokens=False).ids, "<u4").tobytes()
+    assert all(same(f"ab{c}cd {c} 1{c}") for c in map(chr, range(128)))
+    assert all(same(f"é ab{chr(c)}cd {chr(c)}1{chr(c)}\u0301 A{chr(c)}") for c in range(0x80, 0x3000) if not 0xD800 <= c < 0xE000)
+    rng = random.Random(7)
+    some = [chr(c) for c in (*range(32, 127), 9, 10, 13, 28, 31, 0xE9, 0xDF, 0x130, 0x3A3, 0x3C3, 0x7FD, 0xC3C, 0x301, 0x1100, 0x1161, 0xAC00, 0x4E2D, 0x0E01, 0x1F600, 0x2028, 0xA0)]
+    for _ in range(1500):
+        assert same("".join(rng.choice(some) for _ in range(rng.randint(1, 30))))
 
 
 def test_quality_counts(docs, texts, empty):

@@ -33,9 +33,12 @@ def ascii_lower(c: Column | str) -> Column:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that the session's ``spark.checkpoint.dir`` names; a temporary one only where that is unset."""
+    """The folder that the session's ``spark.checkpoint.dir`` names. Only a local master, where all share one disk, may do
+    without."""
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         root = "file://" + tempfile.mkdtemp(prefix="triplefed-checkpoint-")
         spark.sparkContext.setCheckpointDir(root)
     return root.rstrip("/")

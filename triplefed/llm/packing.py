@@ -1,13 +1,19 @@
-"""Best-fit packing of token pieces into sequences.
+"""Best-fit packing of token pieces into sequences, in bulk-synchronous rounds.
 
-Documents are tokenized once and cut into pieces; only rows of a few numbers go on. Pieces and the gaps of open
-sequences are both kept in order of their size, as counts by size: at most ``capacity`` classes of each, however many
-rows there are. A round takes the longest class of pieces not yet placed and sweeps the gaps upwards from that length:
-the smallest gap that holds a piece wins, all sequences of that class at once, and when more pieces want a class than it
-has room for, the lower ranks get it and the rest sweep on; what no gap holds opens sequences. Then gaps are updated and
-the next round starts. A round's matches are runs of ranks and of sequences, so the plan stays a table of size bounded
-by the capacity, and every piece finds its place by its rank within its length. This equals best-fit decreasing piece
-by piece, as within one length best fit fills a sequence as far as it goes before it turns to the next.
+Documents are tokenized once and cut into pieces; only rows of a few numbers go on. A piece of full length is a sequence by
+itself. The others go in phases. A phase opens sequences: one for each piece of over half the capacity, as no two of these
+share one, and once these are gone, for the longest pieces as many as what is left needs at least. Then rounds follow:
+
+1. Gaps of open sequences and pieces not yet placed are sorted by size in one order, gaps first among equals.
+2. A sweep goes from large to small. Each piece takes the smallest gap before it that no piece has taken, its successor by
+   size. The sweep isn't walked: a row's depth, how many gaps lie open there, is the sum of the counts of larger sizes and
+   its rank within its own, and a piece meets the gap that comes right before it among the rows of its depth.
+3. Ranks also settle who gets a gap that several pieces want: of equal sizes each has a depth of its own.
+4. Gaps shrink by what they took, and the next round begins, until no gap holds any piece.
+
+Where all pieces left are much smaller than a gap, the gap is dealt into several, so that a round fills it with many.
+Only sums and counts go to the driver. Sizes are at most the capacity, so what is kept for each size is bounded by it; rows
+of one size, however many, are dealt into parts by hash and ranked part by part. No round moves texts or ids.
 
 Defined cases: a null or empty text is one piece, the end mark alone; a text longer than the capacity is cut into full
 pieces and a rest; repeated rows are packed each; an empty table gives no rows. Only the named columns are read.
@@ -15,16 +21,17 @@ pieces and a rest; repeated rows are packed each; an empty table gives no rows.
 
 from __future__ import annotations
 
-import bisect
+import re
 import unicodedata
 import zlib
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
-from triplefed.llm.common import materialize, ranked, ship, table
+from triplefed.llm.common import materialize, power_of_two, ship, table
 from triplefed.llm.token_count import byte_letters, tokenizer_path
 
 CAPACITY = 4096
@@ -36,14 +43,21 @@ ASCII_WORDS = r"'s|'t|'re|'ve|'m|'ll|'d|[a-z]+|[0-9]|[^\sa-z0-9]+"
 WORDS = r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_]+|\d|(?:[^\s\w]|_)+"
 
 
+#: Rows of one size that are ranked in one part.
+PART_ROWS = 200_000
+
+
 class WordEncoder(dict):
     """Ids of whole texts as bytes, four to an id. The library's model encodes each distinct word once; a text's ids are
-    its words' ids in a row, since the vocabulary merges nothing across words. Texts on which Python's lower-casing or
-    character classes might differ from the library's, and texts with special strings, go to the library whole."""
+    its words' ids in a row, since the vocabulary merges nothing across words.
+
+    Words are cut here only in texts all of whose characters have been held against the library: each in several
+    surroundings, once. Other texts, those with combining marks, which change their neighbours, and those with special
+    strings go to the library whole.
+    """
 
     def __init__(self, path: str, cache: int = CACHE):
         import os
-        import re
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
@@ -55,9 +69,11 @@ class WordEncoder(dict):
         self.plain = str.maketrans({chr(b): self.letters[b] for b in range(128) if chr(b) != self.letters[b]})
         self.ascii_words = re.compile(ASCII_WORDS).findall
         self.words = re.compile(WORDS).findall
-        odd = [c for c in map(chr, range(0x110000)) if c.isnumeric() and not c.isdecimal() and not c.isalpha()]
         self.special = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
-        self.odd = frozenset(odd) | frozenset("Σ\x1c\x1d\x1e\x1f")
+        # the Greek capital whose small form hangs on the word around it
+        self.odd: set[str] = {"\u03a3"}
+        self.proven: set[str] = set()
+        self.ascii_odd = re.compile("[" + "".join(re.escape(c) for c in map(chr, range(128)) if not self._agrees(c)) + "]" if any(not self._agrees(c) for c in map(chr, range(128))) else r"(?!)").search
 
     def __missing__(self, word: str) -> bytes:
         known = word.translate(self.plain) if word.isascii() else "".join([self.letters[b] for b in word.encode()])
@@ -66,14 +82,35 @@ class WordEncoder(dict):
         self[word] = out = _packed([t.id for t in self.model.tokenize(known)])
         return out
 
+    def _library(self, text: str) -> bytes:
+        return _packed(self.tokenizer.encode(text, add_special_tokens=False).ids)
+
+    def _cut(self, text: str) -> bytes:
+        if text.isascii():
+            return b"".join(map(self.__getitem__, self.ascii_words(text.lower())))
+        return b"".join(map(self.__getitem__, self.words(unicodedata.normalize("NFC", text).lower())))
+
+    def _agrees(self, c: str) -> bool:
+        """Whether a character means the same here as to the library: alone and doubled, beside letters, digits, marks and
+        blanks, and before the ends of words that are cut off after an apostrophe."""
+        if unicodedata.category(c)[0] in "MC" and not c.isascii():
+            return False
+        text = f"{c} a{c}b{c}{c}1{c}2 {c}.{c}-\u00e9{c}\u00e9'{c}s'{c}{c} A{c}B'll{c}\n{c}"
+        return self._cut(text) == self._library(text)
+
     def encode(self, text: str) -> bytes:
         if any(s in text for s in self.special):
-            pass
-        elif text.isascii():
-            return b"".join(map(self.__getitem__, self.ascii_words(text.lower())))
-        elif self.odd.isdisjoint(text):
-            return b"".join(map(self.__getitem__, self.words(unicodedata.normalize("NFC", text).lower())))
-        return _packed(self.tokenizer.encode(text, add_special_tokens=False).ids)
+            return self._library(text)
+        if text.isascii():
+            return self._library(text) if self.ascii_odd(text) else self._cut(text)
+        new = set(text) - self.proven
+        if new:
+            if self.odd.isdisjoint(new):
+                for c in new:
+                    (self.proven if self._agrees(c) else self.odd).add(c)
+            if not self.odd.isdisjoint(new):
+                return self._library(text)
+        return self._cut(text)
 
 
 def _packed(ids: list[int]) -> bytes:
@@ -119,69 +156,108 @@ def pieces(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", vocabula
     return docs.select(F.col(doc_id).alias("__key"), F.col(text).alias("__text")).mapInArrow(run, f"doc_id {kind}, piece int, start long, length long, ids_crc32 long")
 
 
-def plan(counts: dict[int, int], capacity: int = CAPACITY) -> list[tuple[int, int, int, int, int, int]]:
-    """Runs (length, first rank, ranks, first sequence, pieces in each sequence, offset of the first of them)."""
-    out: list[tuple[int, int, int, int, int, int]] = []
-    gaps: list[int] = []  # sizes that open sequences have left, ascending
-    runs: dict[int, list[tuple[int, int]]] = {}  # by gap: first sequence, sequences
-    sequences = 0
-
-    def leave(gap: int, first: int, n: int) -> None:
-        if gap and n:
-            if gap not in runs:
-                bisect.insort(gaps, gap)
-                runs[gap] = []
-            runs[gap].append((first, n))
-
-    def fill(length: int, rank: int, left: int, first: int, n: int, gap: int) -> int:
-        """Puts ranks from ``rank`` on into sequences of one gap; returns how many of these sequences got pieces."""
-        each = gap // length
-        full = min(n, left // each)
-        if full:
-            out.append((length, rank, full * each, first, each, capacity - gap))
-            leave(gap - each * length, first, full)
-        rest = left - full * each if full < n else 0
-        if rest and rest < each:
-            out.append((length, rank + full * each, rest, first + full, rest, capacity - gap))
-            leave(gap - rest * length, first + full, 1)
-            return full + 1
-        return full
-
-    for length in sorted(counts, reverse=True):
-        rank, total = 0, counts[length]
-        while rank < total:
-            i = bisect.bisect_left(gaps, length)
-            if i == len(gaps):
-                need = -(-(total - rank) // (capacity // length))
-                fill(length, rank, total - rank, sequences, need, capacity)
-                sequences += need
+def _numbered(rows: DataFrame, total: int) -> DataFrame:
+    """Adds ``depth``: how many gaps lie open in the sweep at a gap that is counted in, or at a piece before it takes one.
+    Rows: kind (0 gap, 1 piece), size, id, unit."""
+    given = rows.withColumn("part", F.pmod(F.xxhash64("id", "unit"), F.lit(power_of_two(total / PART_ROWS, 1))).cast("int"))
+    parts = given.groupBy("size", "kind", "part").agg(F.count(F.lit(1)).alias("n"))
+    # as many rows as there are sizes, twice the capacity at most
+    sizes = parts.groupBy("size", "kind").agg(F.sum("n").alias("n"))
+    larger = Window.orderBy(F.col("size").desc(), "kind").rowsBetween(Window.unboundedPreceding, -1)
+    sizes = sizes.select("size", "kind", F.coalesce(F.sum(F.when(F.col("kind") == 0, F.col("n")).otherwise(-F.col("n"))).over(larger), F.lit(0)).alias("open"))
+    before = Window.partitionBy("size", "kind").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+    starts = parts.select("size", "kind", "part", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("start")).join(F.broadcast(sizes), ["size", "kind"])
+    rank = F.col("start") + F.row_number().over(Window.partitionBy("size", "kind", "part").orderBy("id", "unit"))
+    out = given.join(starts, ["size", "kind", "part"])
+    return out.withColumn("depth", F.when(F.col("kind") == 0, F.col("open") + rank).otherwise(F.col("open") - rank + 1))
+
+
+def sweep(gaps: DataFrame, pieces: DataFrame, open_: int, left: int, longest: int) -> DataFrame:
+    """id, size, sequence of all pieces, the last null where no gap is left for it. Gaps: sequence, gap; pieces: id, size.
+
+    A gap is dealt into units that hold the longest piece each, the last with what is over, about as many in all as
+    there are pieces and gaps.
+    """
+    share = 1 + -(-left // max(1, open_))
+    units = F.greatest(F.lit(1), F.least(F.floor(F.col("gap") / longest), F.lit(share))).cast("int")
+    dealt = gaps.withColumn("units", units).select("sequence", "gap", "units", F.explode(F.sequence(F.lit(0), F.col("units") - 1)).alias("unit"))
+    size = F.when(F.col("unit") < F.col("units") - 1, F.lit(longest)).otherwise(F.col("gap") - (F.col("units") - 1) * longest)
+    rows = dealt.select(F.lit(0).alias("kind"), size.cast("long").alias("size"), F.col("sequence").alias("id"), "unit")
+    rows = rows.unionByName(pieces.select(F.lit(1).alias("kind"), "size", "id", F.lit(0).alias("unit")))
+    # rows of one depth are of different sizes or kinds each: twice the capacity at most
+    row = Window.partitionBy("depth").orderBy(F.col("size").desc(), "kind")
+    met = _numbered(rows, 2 * (open_ + left)).select("kind", "id", "size", F.lag("kind").over(row).alias("above"), F.lag("id").over(row).alias("sequence"))
+    return met.where("kind = 1").select("id", "size", F.when(F.col("above") == 0, F.col("sequence")).alias("sequence"))
+
+
+def _longest(pieces: DataFrame, wanted: int) -> Column:
+    """Which of the pieces (id, size) are the ``wanted`` longest; of those as long as the shortest of them, those with the
+    smallest hashes of their ids."""
+    counts = pieces.groupBy("size").agg(F.count(F.lit(1)).alias("n")).collect()  # as many rows as sizes: the capacity at most
+    for size, n in sorted(((r["size"], r["n"]) for r in counts), reverse=True):
+        if n <= wanted:
+            wanted -= n
+            if not wanted:
+                return F.col("size") >= size
+            continue
+        # the hash of the last one is looked for in the one of many bins that holds it
+        alike, h = pieces.where(F.col("size") == size), F.xxhash64("id")
+        bins = alike.groupBy(F.shiftright(h, 54).alias("bin")).agg(F.count(F.lit(1)).alias("n")).collect()  # 1024 rows
+        for r in sorted(bins, key=lambda r: r["bin"]):
+            if r["n"] >= wanted:
+                last = alike.where(F.shiftright(h, 54) == r["bin"]).select(h.alias("h")).orderBy("h").limit(wanted).agg(F.max("h")).collect()[0][0]
+                return (F.col("size") > size) | ((F.col("size") == size) & (F.xxhash64("id") <= last))
+            wanted -= r["n"]
+    return F.lit(True)
+
+
+def best_fit(pieces: DataFrame, capacity: int = CAPACITY) -> DataFrame:
+    """id, sequence, step: where each piece goes, and after which ones it came there. Pieces: id (distinct), size, at most
+    the capacity. A sequence bears the id of its first piece."""
+    # whatever fills a sequence, or is alone in it so far
+    placed = [pieces.where(F.col("size") >= capacity).select("id", "size", F.col("id").alias("sequence"), F.lit(0).alias("step"))]
+    left = materialize(pieces.where(F.col("size") < capacity).select("id", F.col("size").cast("long").alias("size")))
+    gaps = None
+    step = 0
+    measure = [F.count(F.lit(1)).alias("n"), F.sum("size").alias("total"), F.min("size").alias("least"), F.max("size").alias("most"), F.count_if(F.col("size") > capacity // 2).alias("large")]
+    now = left.agg(*measure).collect()[0]
+    while now["n"]:
+        step += 1
+        first = _longest(left, now["large"] or -(-now["total"] // capacity))
+        left = materialize(left.withColumn("first", first))
+        opened = left.where("first").select("id", "size", F.col("id").alias("sequence"), F.lit(step).alias("step"))
+        placed.append(opened)
+        new = opened.select("sequence", (F.lit(capacity) - F.col("size")).alias("gap"))
+        gaps = new if gaps is None else gaps.unionByName(new)
+        left = left.where("NOT first").select("id", "size")
+        now = left.agg(*measure).collect()[0]
+        while now["n"]:
+            step += 1
+            gaps = materialize(gaps.where(F.col("gap") >= now["least"]))
+            open_ = gaps.count()
+            if not open_:
                 break
-            gap = gaps[i]
-            first, n = runs[gap].pop()
-            if not runs[gap]:
-                del runs[gap]
-                gaps.pop(i)
-            got = fill(length, rank, total - rank, first, n, gap)
-            rank += min(total - rank, n * (gap // length))
-            leave(gap, first + got, n - got)
+            met = materialize(sweep(gaps, left, open_, now["n"], now["most"]))
+            taken = met.where("sequence IS NOT NULL")
+            placed.append(taken.select("id", "size", "sequence", F.lit(step).alias("step")))
+            used = taken.groupBy("sequence").agg(F.sum("size").alias("used"))
+            gaps = gaps.join(used, "sequence", "left").select("sequence", (F.col("gap") - F.coalesce("used", F.lit(0))).alias("gap"))
+            left = met.where("sequence IS NULL").select("id", "size")
+            now = left.agg(*measure).collect()[0]
+    out = placed[0]
+    for p in placed[1:]:
+        out = out.unionByName(p)
     return out
 
 
 def pack(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", vocabulary: str = "word_bpe_49k.json", capacity: int = CAPACITY, end_id: int = END_ID) -> DataFrame:
     """Per piece: doc_id, piece, start, length, ids_crc32, sequence_id, offset."""
-    spark = docs.sparkSession
-    cut = materialize(pieces(docs, doc_id, text, vocabulary, capacity, end_id))
-    counts = {r["length"]: r["n"] for r in cut.groupBy("length").agg(F.count(F.lit(1)).alias("n")).collect()}  # capacity rows at most
-    runs = spark.createDataFrame(plan(counts, capacity) or [(0, 0, 0, 0, 1, 0)], "length long, rank0 long, ranks long, sequence0 long, each long, offset0 long")
-    order = F.conv(F.substring(F.md5(F.concat_ws(":", F.lit("pack"), F.col("doc_id").cast("string"), F.col("piece").cast("string"))), 1, 8), 16, 10).cast("long")
-    placed = ranked(cut, ["length"], order, ["doc_id", "piece", "ids_crc32"], None, sum(counts.values()))
-    nth = F.col("rank") - F.col("rank0")
-    # the plan's size is bound by the capacity (a few runs for each length), not by the data: safe to broadcast
-    return placed.join(F.broadcast(runs), [placed["length"] == runs["length"], nth >= 0, nth < F.col("ranks")]).select(
-        "doc_id", "piece", "start", placed["length"], "ids_crc32",
-        (F.col("sequence0") + F.floor(nth / F.col("each"))).cast("long").alias("sequence_id"),
-        (F.col("offset0") + nth % F.col("each") * placed["length"]).cast("long").alias("offset"),
-    )
+    cut = materialize(pieces(docs, doc_id, text, vocabulary, capacity, end_id).withColumn("id", F.monotonically_increasing_id()))
+    places = best_fit(cut.select("id", F.col("length").alias("size")), capacity)
+    # pieces of a sequence: the capacity at most
+    order = Window.partitionBy("sequence").orderBy("step", "id").rowsBetween(Window.unboundedPreceding, -1)
+    places = places.select("id", "sequence", F.coalesce(F.sum("size").over(order), F.lit(0)).alias("offset"))
+    return cut.join(places, "id").select("doc_id", "piece", "start", "length", "ids_crc32", F.col("sequence").alias("sequence_id"), F.col("offset").cast("long").alias("offset"))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
