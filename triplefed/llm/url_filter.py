@@ -1,12 +1,16 @@
 """URL filter: host and path rules first, then a weighted vocabulary matched by an Aho-Corasick automaton.
 
 A url that no rule decides is judged by its terms. All terms are found in one pass over the lower-cased url; a hit
-counts only where no ASCII letter or digit touches it on either side. One distinct strict hit, or soft hits of
-distinct terms whose weights reach ``soft_limit``, reject the url.
+counts only where no ASCII letter or digit touches it on either side. One distinct strict hit rejects the url, and so do
+soft hits of at least ``soft_distinct`` different terms whose weights reach ``soft_limit``; one soft term alone never does.
+
+The vocabulary (``vocabulary.py``, or any lines of that form) is general knowledge: a term, its weight or ``strict``, and how
+it is inflected. It isn't drawn from any table.
 
 Defined cases: a null url, or one without ``://``, has an empty host and path, fits no rule and keeps verdict
 ``allow`` unless its text holds rejecting terms (null has none). Repeated rows are judged each on its own; columns
-that are not asked for are never read, so further columns with any names do no harm. Empty tables give no rows.
+that are not asked for are never read, so further columns with any names do no harm. Empty tables give no rows. A url of any
+length is scanned once.
 """
 
 from __future__ import annotations
@@ -19,10 +23,44 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from triplefed.llm.common import LOWER, UPPER, ascii_lower, ship, table
-
-STRICT = ("adult", "escort", "hentai", "nude", "porn", "sex", "xxx")
-SOFT = {"bet": 1, "betting": 1, "bonus": 1, "casino": 1, "cheap": 1, "loan": 1, "loans": 1, "pharmacy": 1, "pills": 1, "poker": 1, "replica": 1, "slots": 1, "viagra": 2, "win": 1, "winner": 1}
-SOFT_LIMIT = 2
+from triplefed.llm.vocabulary import VOCABULARY
+
+SOFT_LIMIT, SOFT_DISTINCT = 2, 2
+
+
+def inflected(term: str, forms: str) -> list[str]:
+    """A term and what its forms make of it: ``s`` a plural, ``ing`` and ``er`` those of a verb (its last letter doubled
+    where the form says so: ``2ing``), ``-`` parts written together as well as apart."""
+    out = [term]
+    for form in forms.split(",") if forms else []:
+        if form == "-":
+            out += [term.replace("-", "")]
+        elif form.startswith("2"):
+            out.append(term + term[-1] + form[1:])
+        else:
+            out.append(term[:-1] + form if form in ("ing", "er", "ers") and term.endswith("e") else term + form)
+    return out
+
+
+def read_vocabulary(lines: list[str]) -> tuple[tuple[str, ...], dict[str, int]]:
+    """Strict terms, and soft ones with their weights, of lines ``weight term[,forms]``; a line that begins with # is a remark."""
+    strict: dict[str, None] = {}
+    soft: dict[str, int] = {}
+    for line in lines:
+        if not line.strip() or line.startswith("#"):
+            continue
+        weight, _, rest = line.strip().partition(" ")
+        for entry in rest.split():
+            term, _, forms = entry.partition(",")
+            for form in inflected(term, forms):
+                if weight == "strict":
+                    strict[form] = None
+                else:
+                    soft[form] = int(weight)
+    return tuple(strict), {k: v for k, v in soft.items() if k not in strict}
+
+
+STRICT, SOFT = read_vocabulary(VOCABULARY.splitlines())
 
 
 @dataclass(frozen=True)
@@ -62,16 +100,17 @@ def path_column(url: str = "url"):
 class Judge:
     """Rules by host and an automaton for the terms; built once in each task."""
 
-    def __init__(self, rules: tuple[Rule, ...], strict: tuple[str, ...], soft: dict[str, int], soft_limit: int):
+    def __init__(self, rules: tuple[Rule, ...], strict: tuple[str, ...], soft: dict[str, int], soft_limit: int, soft_distinct: int = SOFT_DISTINCT):
         import ahocorasick
 
         self.by_host: dict[str, list[Rule]] = {}
         for rule in sorted(rules, key=lambda r: (-len(r.place), r.place)):
             self.by_host.setdefault(rule.host, []).append(rule)
-        self.soft, self.soft_limit = soft, soft_limit
+        self.soft, self.soft_limit, self.soft_distinct = soft, soft_limit, soft_distinct
+        hard = set(strict)
         self.terms = ahocorasick.Automaton()
         for term in {*strict, *soft}:
-            self.terms.add_word(term, (term, term in strict))
+            self.terms.add_word(term, (term, term in hard))
         self.terms.make_automaton()
 
     def rule(self, host: str, path: str) -> Rule | None:
@@ -97,7 +136,7 @@ class Judge:
         return strict, soft
 
     def rejects(self, strict: set[str], soft: set[str]) -> bool:
-        return bool(strict) or sum(self.soft[x] for x in soft) >= self.soft_limit
+        return bool(strict) or (len(soft) >= self.soft_distinct and sum(self.soft[x] for x in soft) >= self.soft_limit)
 
 
 def _joins(c: str) -> bool:
@@ -115,6 +154,7 @@ def filter_urls(
     strict: tuple[str, ...] = STRICT,
     soft: dict[str, int] = SOFT,
     soft_limit: int = SOFT_LIMIT,
+    soft_distinct: int = SOFT_DISTINCT,
 ) -> DataFrame:
     """Per row: key, host, path, rule, verdict, n_strict, n_soft (distinct terms) and soft_weight. No shuffle."""
     ship(pages.sparkSession)
@@ -122,7 +162,7 @@ def filter_urls(
     schema = f"{key} {pages.schema[key].dataType.simpleString()}, host string, path string, rule string, verdict string, n_strict int, n_soft int, soft_weight int"
 
     def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        j = Judge(rules, strict, soft, soft_limit)
+        j = Judge(rules, strict, soft, soft_limit, soft_distinct)
         for batch in batches:
             hosts, paths = batch["host"].to_pylist(), batch["path"].to_pylist()
             rows = []
@@ -145,8 +185,7 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _oracle() -> str:
-    def found(term: str) -> str:
-        return f"CAST(regexp_matches(u, '(^|[^a-z0-9]){term}([^a-z0-9]|$)') AS INT)"
+    """A url cut at whatever is no letter or digit: a term stands in it where its own parts stand in a row."""
 
     def fits(rule: Rule) -> str:
         return f"((host = '{rule.host}' OR ends_with(host, '.{rule.host}')) AND starts_with(path, '{rule.path}'))"
@@ -154,18 +193,19 @@ def _oracle() -> str:
     ordered = sorted(RULES, key=lambda r: -len(r.place))
     named = " ".join(f"WHEN {fits(r)} THEN '{r.place}'" for r in ordered)
     decided = " ".join(f"WHEN {fits(r)} THEN '{r.verdict}'" for r in ordered)
-    hard = " + ".join(found(t) for t in STRICT)
-    mild = " + ".join(found(t) for t in SOFT)
-    weight = " + ".join(f"{w} * {found(t)}" for t, w in SOFT.items())
+    terms = ", ".join([f"('{t}', 0)" for t in STRICT] + [f"('{t}', {w})" for t, w in SOFT.items()])
     return f"""
     WITH p AS (
-        SELECT page_id, translate(coalesce(url, ''), '{UPPER}', '{LOWER}') AS u,
+        SELECT page_id, row_number() OVER () AS k, translate(coalesce(url, ''), '{UPPER}', '{LOWER}') AS u,
                coalesce(translate(regexp_extract(url, '(?s)^.*?://([^/?#]*)', 1), '{UPPER}', '{LOWER}'), '') AS host,
                coalesce(regexp_extract(url, '(?s)^.*?://[^/?#]*([^?#]*)', 1), '') AS path
         FROM pages),
-    h AS (SELECT *, {hard} AS n_strict, {mild} AS n_soft, {weight} AS soft_weight FROM p)
+    t(term, weight) AS (VALUES {terms}),
+    f AS (SELECT k, weight FROM p JOIN t ON contains(u, term) AND regexp_matches(u, '(^|[^a-z0-9])' || regexp_escape(term) || '([^a-z0-9]|$)')),
+    c AS (SELECT k, count(*) FILTER (weight = 0) AS n_strict, count(*) FILTER (weight > 0) AS n_soft, sum(weight) AS soft_weight FROM f GROUP BY k),
+    h AS (SELECT p.*, coalesce(n_strict, 0) AS n_strict, coalesce(n_soft, 0) AS n_soft, coalesce(soft_weight, 0) AS soft_weight FROM p LEFT JOIN c USING (k))
     SELECT page_id, host, path, CASE {named} END AS rule,
-           CASE {decided} WHEN n_strict > 0 OR soft_weight >= {SOFT_LIMIT} THEN 'block' ELSE 'allow' END AS verdict,
+           CASE {decided} WHEN n_strict > 0 OR (n_soft >= {SOFT_DISTINCT} AND soft_weight >= {SOFT_LIMIT}) THEN 'block' ELSE 'allow' END AS verdict,
            CAST(n_strict AS INT) AS n_strict, CAST(n_soft AS INT) AS n_soft, CAST(soft_weight AS INT) AS soft_weight
     FROM h"""
 
