@@ -59,21 +59,30 @@ class Codec:
 
         with open(path, "rb") as f:
             ranks = {base64.b64decode(a): int(b) for a, b in (line.split() for line in f)}
-        self.ordinary = tiktoken.Encoding("chat", pat_str=PATTERN, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
-        self.bytes = {v: k for k, v in ranks.items()} | {i: s.encode() for s, i in RESERVED.items()}
+        self.encoding = tiktoken.Encoding("chat", pat_str=PATTERN, mergeable_ranks=ranks, special_tokens=RESERVED)
 
-    def turn(self, role: str, text: str) -> tuple[list[int], np.ndarray]:
+    def ordinary(self, text: str) -> np.ndarray:
+        """Whatever the text says, no reserved id comes of it."""
+        return self.encoding.encode_to_numpy(text, allowed_special=set(), disallowed_special=()).astype(np.int32)
+
+    def turn(self, role: str, text: str) -> tuple[np.ndarray, np.ndarray]:
         header = [RESERVED[HEADERS[role]]] if role in HEADERS else [RESERVED[OTHER], *self.ordinary(escape_role(role)), RESERVED[ROLE_END]]
         body = self.ordinary(escape(text))
-        ids = [*header, *body, RESERVED[TURN_END]]
+        ids = np.concatenate([np.array(header, np.int32), body, np.array([RESERVED[TURN_END]], np.int32)])
         steps = np.zeros(len(ids) + 1, np.int8)
         if role == LEARNED:
             steps[len(header)] += 1
             steps[len(header) + len(body)] -= 1
         return ids, np.cumsum(steps[:-1], dtype=np.int8)
 
-    def text(self, ids: list[int]) -> bytes:
-        return b"".join(map(self.bytes.__getitem__, ids))
+    def text(self, ids) -> bytes:
+        return self.encoding.decode_bytes(ids.tolist() if isinstance(ids, np.ndarray) else ids)
+
+
+def _lists(parts: list[np.ndarray], kind: pa.DataType) -> pa.ListArray:
+    ends = np.cumsum([0, *map(len, parts)], dtype=np.int32)
+    flat = np.concatenate(parts) if parts else np.empty(0, np.int32)
+    return pa.ListArray.from_arrays(pa.array(ends), pa.array(flat, kind))
 
 
 _codecs: dict[str, Codec] = {}
@@ -114,7 +123,7 @@ def format_chat(turns: DataFrame, vocabulary: str = "byte_bpe_50k.tiktoken") ->
         c = codec(vocabulary if "/" in vocabulary else tokenizer_path(vocabulary))
         for batch in batches:
             made = [c.turn(r or "", t or "") for r, t in zip(batch["role"].to_pylist(), batch["text"].to_pylist(), strict=True)]
-            yield pa.RecordBatch.from_arrays([batch["conv_id"], batch["turn"], pa.array([m[0] for m in made], pa.list_(pa.int32())), pa.array([m[1] for m in made], pa.list_(pa.int8()))], names=["conv_id", "turn", "ids", "loss_mask"])
+            yield pa.RecordBatch.from_arrays([batch["conv_id"], batch["turn"], _lists([m[0] for m in made], pa.int32()), _lists([m[1] for m in made], pa.int8())], names=["conv_id", "turn", "ids", "loss_mask"])
 
     order = [F.col("conv_id"), F.col("turn").asc_nulls_first(), F.col("role").asc_nulls_first(), F.col("text").asc_nulls_first()]
     rows = turns.select("conv_id", "turn", "role", "text").repartition("conv_id").sortWithinPartitions(*order)
@@ -128,31 +137,36 @@ def read_back(formatted: DataFrame, vocabulary: str = "byte_bpe_50k.tiktoken") -
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c = codec(vocabulary if "/" in vocabulary else tokenizer_path(vocabulary))
         rows: list[tuple] = []
-        state = None
+        state = key = None
 
         def done() -> None:
             if state is not None:
                 rows.append((state[0], state[1], state[2].hexdigest(), state[3], state[4].hexdigest(), state[5]))
 
         for batch in batches:
-            for conv, ids, mask in zip(batch["conv_id"].to_pylist(), batch["ids"].to_pylist(), batch["loss_mask"].to_pylist(), strict=True):
+            key = batch.schema.field("conv_id").type
+            ids, masks = batch["ids"], batch["loss_mask"].flatten().to_numpy()
+            ends, flat = ids.offsets.to_numpy() - ids.offsets[0].as_py(), ids.flatten().to_numpy()
+            for i, conv in enumerate(batch["conv_id"].to_pylist()):
+                own, mask = flat[ends[i]:ends[i + 1]], masks[ends[i]:ends[i + 1]]
                 if state is None or state[0] != conv:
                     done()
                     state = [conv, 0, hashlib.sha256(), 0, hashlib.sha256(), 0]
-                text = c.text(ids).decode()
+                text = c.text(own).decode()
                 state[5] += len(text)
                 for role, said in parse(text):
                     state[1] += 1
                     state[2].update(f"{role}\n{said}\n".encode())
-                learned = unescape(c.text([i for i, m in zip(ids, mask, strict=True) if m]).decode())
-                state[3] += len(learned)
-                state[4].update(learned.encode())
+                if mask.any():
+                    learned = unescape(c.text(own[mask == 1]).decode())
+                    state[3] += len(learned)
+                    state[4].update(learned.encode())
             if len(rows) > 1:
-                yield _rows(rows, batch.schema.field("conv_id").type)
+                yield _rows(rows, key)
                 rows = []
         done()
         if rows:
-            yield _rows(rows, pa.array([r[0] for r in rows]).type if rows[0][0] is not None else pa.int64())
+            yield _rows(rows, key)
 
     return formatted.select("conv_id", "ids", "loss_mask").mapInArrow(run, f"conv_id {kind}, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long")
 
