@@ -17,8 +17,9 @@ no group is ever expanded into all its pairs. Links are joined into components i
 but counts goes to the driver.
 
 Defined cases: A-Z are lower-cased; with fewer words than a shingle has, the whole sequence is one; a null, empty or blank
-text has an empty set, is linked with nothing and is kept; rows of one id are one document with its first text; rows
-without an id have no component and are kept; an empty table gives no rows; only named columns are read.
+text has an empty set, is linked with nothing and is kept; rows of one id are one document, of whose texts the one with the
+smallest fingerprint counts, and give one row; rows without an id have no component and are kept each; an empty table gives
+no rows; only named columns are read.
 """
 
 from __future__ import annotations
@@ -92,6 +93,14 @@ def trees_for(similarity: float, depth: int, recall: float) -> int:
     return 1 if missed <= 0 else max(1, math.ceil(math.log(1 - recall) / math.log(missed)))
 
 
+def fingerprint(s: np.ndarray) -> tuple[int, int]:
+    """What equal sets share, and different ones don't."""
+    if not len(s):
+        return 0, 0
+    f1 = np.bitwise_xor.reduce(s * np.uint64(0xD6E8FEB86659FD93) ^ (s >> np.uint64(17)))
+    return int(f1.view(np.int64)), int((s * (s >> np.uint64(7) | np.uint64(1))).sum(dtype=np.uint64).view(np.int64))
+
+
 def sketches(docs: DataFrame, words: int, tokens: int) -> DataFrame:
     """doc_id, n_shingles, f1, f2 (what equal sets share), paths, sketch."""
 
@@ -104,8 +113,9 @@ def sketches(docs: DataFrame, words: int, tokens: int) -> DataFrame:
                 s = shingles(text.as_py(), words, hashes)
                 m = minwise(s, a, b)
                 n.append(len(s))
-                f1.append(int(np.bitwise_xor.reduce(s * np.uint64(0xD6E8FEB86659FD93) ^ (s >> np.uint64(17))).view(np.int64)) if len(s) else 0)
-                f2.append(int((s * (s >> np.uint64(7) | np.uint64(1))).sum(dtype=np.uint64).view(np.int64)) if len(s) else 0)
+                both = fingerprint(s)
+                f1.append(both[0])
+                f2.append(both[1])
                 paths.append(m[:tokens].view(np.int32))
                 sketch.append((m[tokens:] >> np.uint32(11)).astype(np.uint8).tobytes())
             yield pa.RecordBatch.from_arrays([batch["doc_id"], pa.array(n, pa.int64()), pa.array(f1, pa.int64()), pa.array(f2, pa.int64()), pa.array(paths, pa.list_(pa.int32())), pa.array(sketch, pa.binary())], names=["doc_id", "n_shingles", "f1", "f2", "paths", "sketch"])
@@ -114,13 +124,16 @@ def sketches(docs: DataFrame, words: int, tokens: int) -> DataFrame:
 
 
 def full_sets(docs: DataFrame, words: int) -> DataFrame:
+    """rep, f1, f2, set."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hashes = WordHashes()
         for batch in batches:
-            sets = [shingles(t.as_py(), words, hashes).view(np.int64) for t in batch["text"]]
-            yield pa.RecordBatch.from_arrays([batch["doc_id"], pa.array(sets, pa.list_(pa.int64()))], names=["rep", "set"])
+            sets = [shingles(t.as_py(), words, hashes) for t in batch["text"]]
+            both = [fingerprint(s) for s in sets]
+            yield pa.RecordBatch.from_arrays([batch["doc_id"], pa.array([f for f, _ in both], pa.int64()), pa.array([f for _, f in both], pa.int64()), pa.array([s.view(np.int64) for s in sets], pa.list_(pa.int64()))], names=["rep", "f1", "f2", "set"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "rep long, set array<long>")
+    return docs.select("doc_id", "text").mapInArrow(run, "rep long, f1 long, f2 long, set array<long>")
 
 
 def _branch(node, tree, level: int, depth: int, chance: float):
@@ -353,25 +366,34 @@ def duplicate_groups(docs: DataFrame, words: int = 5, percent: int = 80, trees:
     known = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     trees = trees or trees_for(similarity, depth, recall)
     marked = materialize(sketches(known, words, trees * depth * TOKENS))
+    # ids that come again: one of their texts is chosen, here and wherever sets are made
+    same_id = marked.where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.count(F.lit(1)).alias("times"), F.min(F.struct("f1", "f2")).alias("own"))
+    again = materialize(same_id.where("times > 1").select("doc_id", F.col("own.f1").alias("own1"), F.col("own.f2").alias("own2")))
+    if again.isEmpty():
+        again = None
+    else:
+        marked = marked.join(again, "doc_id", "left").where("own1 IS NULL OR (f1 = own1 AND f2 = own2)")
+        chosen = marked.where("own1 IS NOT NULL").dropDuplicates(["doc_id"])
+        marked = materialize(marked.where("own1 IS NULL").unionByName(chosen).drop("own1", "own2"))
     filled = marked.where("n_shingles > 0 AND doc_id IS NOT NULL")
     same = ["f1", "f2", "n_shingles"]
     classes = materialize(filled.groupBy(*same).agg(F.min("doc_id").alias("rep")))
-    member = materialize(filled.select("doc_id", *same).join(classes, same).groupBy("doc_id").agg(F.min("rep").alias("rep")))
+    member = materialize(filled.select("doc_id", *same).join(classes, same).select("doc_id", "rep"))
     reps = filled.join(classes.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi")
-    reps = materialize(reps.dropDuplicates(["doc_id"]).select(F.col("doc_id").alias("rep"), F.col("n_shingles").alias("n"), "paths", "sketch"))
+    reps = materialize(reps.select(F.col("doc_id").alias("rep"), F.col("n_shingles").alias("n"), "paths", "sketch"))
     nodes, large = nodes_of(reps, similarity, trees, node_rows, depth)
     least = int(SKETCH * (similarity - SLACK * (similarity * (1 - similarity) / SKETCH) ** 0.5))
     places = nodes.groupBy("rep").agg(F.sort_array(F.collect_list("node")).alias("nodes"))  # a few for each tree
     wide = materialize(reps.drop("paths").join(places, "rep"))
-    links = within(nodes.join(wide, "rep").select("node", "rep", "n", "sketch", "nodes"), known, words, least, similarity, percent)
+    links = within(nodes.join(wide, "rep").select("node", "rep", "n", "sketch", "nodes"), known, words, least, similarity, percent, again)
     if large is not None:
         flat = reps.select("rep", "n", "sketch")
         pairs = materialize(with_pivots(large.join(flat, "rep"), max(2, min(PIVOTS, node_rows // 4))).distinct())
         ends = pairs.select(F.col("a").alias("rep")).unionByName(pairs.select(F.col("b").alias("rep"))).distinct()
-        found = materialize(confirm(pairs, sets_of(known, ends, words), percent).where("linked").select("a", "b"))
+        found = materialize(confirm(pairs, sets_of(known, ends, words, again), percent).where("linked").select("a", "b"))
         links = materialize(links.unionByName(found))
         cells = materialize(blocks(large, components(links), node_rows).join(flat, "rep").select("node", "rep", "n", "sketch", "known", "part"))
-        links = links.unionByName(within(cells, known, words, least, similarity, percent))
+        links = links.unionByName(within(cells, known, words, least, similarity, percent, again))
     label = materialize(components(links))
     out = marked.select("doc_id", "n_shingles").join(member, "doc_id", "left").join(label, "rep", "left")
     # a component's smallest class representative is its smallest document: representatives are the smallest of theirs
@@ -379,14 +401,18 @@ def duplicate_groups(docs: DataFrame, words: int = 5, percent: int = 80, trees:
     return out.select("doc_id", "n_shingles", "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)).alias("kept"))
 
 
-def sets_of(docs: DataFrame, reps: DataFrame, words: int) -> DataFrame:
-    return materialize(full_sets(docs.join(reps.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi"), words).dropDuplicates(["rep"]))
+def sets_of(docs: DataFrame, reps: DataFrame, words: int, again: DataFrame | None) -> DataFrame:
+    """rep, set of the classes in ``reps``. ``again``: ids with several texts, and the fingerprints of those that count."""
+    sets = full_sets(docs.join(reps.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi"), words)
+    if again is not None:
+        sets = sets.join(again.withColumnRenamed("doc_id", "rep"), "rep", "left").where("own1 IS NULL OR (f1 = own1 AND f2 = own2)").dropDuplicates(["rep"])
+    return materialize(sets.select("rep", "set"))
 
 
-def within(rows: DataFrame, docs: DataFrame, words: int, least: int, ratio: float, percent: int) -> DataFrame:
+def within(rows: DataFrame, docs: DataFrame, words: int, least: int, ratio: float, percent: int, again: DataFrame | None) -> DataFrame:
     """a, b: links inside the nodes of ``rows``, confirmed on the full sets of classes that have a candidate."""
     near = materialize(worth_confirming(rows, least, ratio))
-    sets = sets_of(docs, near.select("rep").distinct(), words)
+    sets = sets_of(docs, near.select("rep").distinct(), words, again)
     return materialize(confirmed(near.join(rows, ["node", "rep"]).join(sets, "rep").select(*rows.columns, "set"), least, ratio, percent))
 
 
