@@ -8,12 +8,13 @@ exact; larger factors leave out more. A second pass takes all vectors within the
 near ties come whole; they are scored anew on the original values in double precision, and the best are kept leaf by leaf.
 
 Every vector is indexed; equal vectors take one node and their smallest ids speak for them, which loses nothing, as ties
-go to smaller ids. Shards are of bounded size and so are blocks of queries; each block meets each shard, as any search
-of a stated query set must, and only k rows of a query leave a shard.
+go to smaller ids. A vector goes to one shard, of bounded size, once; the queries come to each shard after it and are
+searched block by block as they arrive, as any search of a stated query set must, and only k rows of a query leave a shard.
 
-Defined cases: vectors that are null, zero, of another length than most, or hold null or non-finite components take no
-part, neither as query nor as candidate; of repeated ids each row is a candidate, and a query never finds rows of its
-own id; with fewer than k candidates all come; an empty table gives no rows; only named columns are read.
+Defined cases: vectors that are null, zero, of another length than ``length`` (most vectors have, if it isn't given), or hold
+null or non-finite components take no part, neither as query nor as candidate; of repeated ids each row is a candidate,
+and a query never finds rows of its own id; with fewer than k candidates all come; an empty table gives no rows; only
+named columns are read.
 """
 
 from __future__ import annotations
@@ -22,6 +23,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -32,8 +34,8 @@ K = 5
 EVERY = 50
 FACTOR = 1.0
 LEAF = 128
-SHARD_ROWS = 20_000
-BLOCK_ROWS = 20_000
+SHARD_ROWS = 100_000
+BLOCK_ROWS = 10_000
 #: Distances closer than this are settled by the exact scores.
 SLACK = 1e-7
 #: Scored rows that a search holds before it keeps the best of them.
@@ -160,68 +162,115 @@ def cosine(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return dot / (np.sqrt(na) * np.sqrt(nb))
 
 
+class Shard:
+    """The vectors of one shard, their tree, and the rows that each distinct vector stands for."""
+
+    def __init__(self, ids: np.ndarray, x: np.ndarray, leaf: int = LEAF):
+        order = np.argsort(ids, kind="stable")
+        self.ids = ids[order]
+        self.raw, group = np.unique(x[order], axis=0, return_inverse=True)
+        group = group.ravel()
+        self.members = np.argsort(group, kind="stable")  # rows of a group stand by id
+        self.starts = np.concatenate([[0], np.cumsum(np.bincount(group, minlength=len(self.raw)))])
+        self.tree = Tree(_unit(self.raw), leaf)
+
+    def search(self, qid: np.ndarray, q: np.ndarray, k: int, factor: float) -> pd.DataFrame:
+        """The k nearest rows for each query: query_id, vec_id, score."""
+        asked = _unit(q)
+        # a query's own row may take a place
+        _, best = self.tree.search(asked, k + 1, factor)
+        bound = np.where(np.isfinite(best[:, -1]), best[:, -1], 2.0) + SLACK
+        out, held, rows = _nothing(), [], 0
+        for out_q, groups in self.tree.within(asked, bound, factor):
+            scores = cosine(q[out_q], self.raw[groups])
+            for j in range(k + 1):  # the j-th smallest id of each group
+                has = self.starts[groups] + j < self.starts[groups + 1]
+                part = pd.DataFrame({"query_id": qid[out_q[has]], "vec_id": self.ids[self.members[self.starts[groups[has]] + j]], "score": scores[has]})
+                held.append(part[part["query_id"] != part["vec_id"]])
+                rows += len(held[-1])
+            if rows > HELD_ROWS:
+                out, held, rows = _best_of([out, *held], k), [], 0
+        return _best_of([out, *held], k)
+
+
+def _unit(m: np.ndarray) -> np.ndarray:
+    # first by the largest component, so that no square is lost
+    m = m / np.abs(m).max(axis=1)[:, None]
+    return m / np.sqrt((m * m).sum(axis=1))[:, None]
+
+
+def _nothing() -> pd.DataFrame:
+    return pd.DataFrame({"query_id": np.empty(0, np.int64), "vec_id": np.empty(0, np.int64), "score": np.empty(0)})
+
+
+def _best_of(parts: list[pd.DataFrame], k: int) -> pd.DataFrame:
+    return pd.concat(parts).sort_values(["query_id", "score", "vec_id"], ascending=[True, False, True]).groupby("query_id", sort=False).head(k)
+
+
 def search_shard(index: pd.DataFrame, queries: pd.DataFrame, k: int, factor: float, leaf: int = LEAF) -> pd.DataFrame:
-    """The k nearest rows of one shard for one block of queries: query_id, vec_id, score."""
-    empty = pd.DataFrame({"query_id": np.empty(0, np.int64), "vec_id": np.empty(0, np.int64), "score": np.empty(0)})
+    """One shard and one block of queries, both id and v: query_id, vec_id, score."""
     if not len(index) or not len(queries):
-        return empty
-    index = index.sort_values("id", kind="stable")
-    x = np.array(index["v"].tolist(), np.float64)
-    raw, first, group = np.unique(x, axis=0, return_index=True, return_inverse=True)
-    ids = index["id"].to_numpy()
-    members = np.argsort(group.ravel(), kind="stable")  # rows of a group stand by id
-    starts = np.concatenate([[0], np.cumsum(np.bincount(group.ravel(), minlength=len(raw)))])
-    q = np.array(queries["v"].tolist(), np.float64)
-    qid = queries["id"].to_numpy()
-    unit = lambda m: m / np.sqrt((m * m).sum(axis=1))[:, None]
-    tree = Tree(unit(raw), leaf)
-    asked = unit(q)
-    # a query's own row may take a place
-    _, best = tree.search(asked, k + 1, factor)
-    bound = np.where(np.isfinite(best[:, -1]), best[:, -1], 2.0) + SLACK
-    out, held, rows = empty, [], 0
-
-    def best_of(parts: list[pd.DataFrame]) -> pd.DataFrame:
-        return pd.concat(parts).sort_values(["query_id", "score", "vec_id"], ascending=[True, False, True]).groupby("query_id", sort=False).head(k)
-
-    for out_q, groups in tree.within(asked, bound, factor):
-        scores = cosine(q[out_q], raw[groups])
-        for j in range(k + 1):  # the j-th smallest id of each group
-            has = starts[groups] + j < starts[groups + 1]
-            part = pd.DataFrame({"query_id": qid[out_q[has]], "vec_id": ids[members[starts[groups[has]] + j]], "score": scores[has]})
-            held.append(part[part["query_id"] != part["vec_id"]])
-            rows += len(held[-1])
-        if rows > HELD_ROWS:
-            out, held, rows = best_of([out, *held]), [], 0
-    return best_of([out, *held])
-
-
-def usable(vectors: DataFrame, vec_id: str, embedding: str) -> DataFrame:
-    """id, v (doubles) of the vectors that can take part. The length of most vectors is the length of all."""
+        return _nothing()
+    matrix = lambda v: np.array(v.tolist(), np.float64)
+    return Shard(index["id"].to_numpy(), matrix(index["v"]), leaf).search(queries["id"].to_numpy(), matrix(queries["v"]), k, factor)
+
+
+def usable(vectors: DataFrame, vec_id: str, embedding: str, length: int | None = None) -> DataFrame:
+    """id, v (doubles) of the vectors that can take part. Without ``length``, that of most vectors is that of all."""
     v = vectors.select(F.col(vec_id).cast("long").alias("id"), F.col(embedding).cast("array<double>").alias("v")).where(F.col("id").isNotNull() & F.col("v").isNotNull())
     v = v.where(F.forall("v", lambda c: c.isNotNull() & ~F.isnan(c) & (F.abs(c) < float("inf"))) & F.exists("v", lambda c: c != 0))
-    length = v.groupBy(F.size("v").alias("n")).count().orderBy(F.col("count").desc(), "n").limit(1).collect()
-    return v.where(F.size("v") == length[0]["n"]) if length else v
+    if length is None:
+        most = v.groupBy(F.size("v").alias("n")).count().orderBy(F.col("count").desc(), "n").limit(1).collect()
+        length = most[0]["n"] if most else None
+    return v if length is None else v.where(F.size("v") == length)
 
 
-def nearest(vectors: DataFrame, queries: DataFrame | None = None, vec_id: str = "vec_id", embedding: str = "embedding", k: int = K, factor: float = FACTOR, every: int = EVERY, shard_rows: int = SHARD_ROWS, block_rows: int = BLOCK_ROWS) -> DataFrame:
+def nearest(vectors: DataFrame, queries: DataFrame | None = None, vec_id: str = "vec_id", embedding: str = "embedding", k: int = K, factor: float = FACTOR, every: int = EVERY, shard_rows: int = SHARD_ROWS, block_rows: int = BLOCK_ROWS, length: int | None = None) -> DataFrame:
     """query_id, rank, vec_id, score. Without ``queries``, rows whose id is divisible by ``every`` are the queries."""
     spark = vectors.sparkSession
     ship(spark)
-    index = usable(vectors, vec_id, embedding)
-    asked = index.where(F.col("id") % every == 0) if queries is None else usable(queries, vec_id, embedding)
+    index = usable(vectors, vec_id, embedding, length)
+    asked = index.where(F.col("id") % every == 0) if queries is None else usable(queries, vec_id, embedding, length)
     asked = materialize(asked)
     n = vectors.count()
-    shards = max(1, min(-(-n // shard_rows), 1 << 20), min(6, n // 2000))
-    blocks = max(1, -(-asked.count() // block_rows))
-    salt = lambda parts, seed: F.pmod(F.xxhash64(F.col("id"), F.lit(seed)), F.lit(parts)).cast("int")
-    left = index.withColumn("shard", salt(shards, 1)).withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
-    right = asked.withColumn("block", salt(blocks, 2)).withColumn("shard", F.explode(F.sequence(F.lit(0), F.lit(shards - 1))))
-
-    def run(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
-        return search_shard(a, b, k, factor)
-
-    part = left.groupBy("shard", "block").cogroup(right.groupBy("shard", "block")).applyInPandas(run, "query_id long, vec_id long, score double")
+    shards = max(1, -(-n // shard_rows), min(spark.sparkContext.defaultParallelism, n // 2000))
+    left = index.select(F.pmod(F.xxhash64(F.col("id")), F.lit(shards)).cast("int").alias("shard"), F.lit(0).alias("kind"), "id", "v")
+    right = asked.select(F.explode(F.sequence(F.lit(0), F.lit(shards - 1))).alias("shard"), F.lit(1).alias("kind"), "id", "v")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: dict[int, list] = {0: [], 1: []}  # ids and vectors of the shard, then of a block of its queries
+        now = shard = None
+
+        def block() -> pa.RecordBatch:
+            ids, x = (np.concatenate([p[i] for p in held[1]]) for i in (0, 1))
+            held[1] = []
+            return pa.RecordBatch.from_pandas(shard.search(ids, x, k, factor), preserve_index=False)
+
+        for batch in batches:
+            parts, kinds, ids = (batch[c].to_numpy() for c in ("shard", "kind", "id"))
+            x = batch["v"].flatten().to_numpy().reshape(len(ids), -1)
+            cuts = np.flatnonzero(np.diff(parts.astype(np.int64) * 2 + kinds)) + 1
+            for lo, hi in zip([0, *cuts], [*cuts, len(ids)], strict=True):
+                if lo == hi:
+                    continue
+                if parts[lo] != now:
+                    if held[1] and shard is not None:
+                        yield block()
+                    now, shard, held = parts[lo], None, {0: [], 1: []}
+                kind = int(kinds[lo])
+                if kind == 1 and shard is None:
+                    if not held[0]:
+                        continue  # a shard without vectors
+                    shard = Shard(*(np.concatenate([p[i] for p in held[0]]) for i in (0, 1)))
+                    held[0] = []
+                held[kind].append((ids[lo:hi], x[lo:hi]))
+                if kind == 1 and sum(len(p[0]) for p in held[1]) >= block_rows:
+                    yield block()
+        if held[1] and shard is not None:
+            yield block()
+
+    rows = left.unionByName(right).repartition(shards, "shard").sortWithinPartitions("shard", "kind", "id")
+    part = rows.mapInArrow(run, "query_id long, vec_id long, score double")
     by_score = Window.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id")
     return part.withColumn("rank", F.row_number().over(by_score)).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
 
