@@ -4,7 +4,8 @@ A text's histogram over seven character classes and its histogram over the commo
 "other") are held against references by Jensen-Shannon divergence, whose square root is the distance, in bits from 0
 to 1. The nearest language counts. A text is rejected if its characters are further than ``char_limit`` from every
 language, or its words further than ``word_limit``, where it is long enough for the histogram to mean something:
-``min_chars`` and ``min_words``.
+``min_chars`` and ``min_words``. Common words are known for four languages in Latin letters; texts in other scripts are held
+against characters alone.
 
 Defined cases: a null text is an empty one, has zero counts and fails the base rule (fewer than 20 words); repeated
 rows are judged each; whole texts are read, in memory proportional to the longest; only named columns are read.
@@ -28,7 +29,11 @@ CHARACTERS = {
     "en": (0.80, 0.025, 0.002, 0.155, 0.020, 0.001, 0.001),
     "es": (0.77, 0.025, 0.002, 0.155, 0.020, 0.001, 0.040),
     "fr": (0.76, 0.025, 0.002, 0.155, 0.020, 0.001, 0.060),
+    "ru": (0.005, 0.002, 0.003, 0.150, 0.025, 0.001, 0.814),
+    "zh": (0.010, 0.006, 0.010, 0.010, 0.014, 0.001, 0.949),
 }
+#: Least share of a-z from which a text is held against the common words, which are all of languages written so.
+LATIN = 0.5
 #: The ten commonest words of each language and their shares of running text.
 COMMON = {
     "de": {"der": 0.035, "die": 0.035, "und": 0.030, "in": 0.020, "den": 0.014, "von": 0.012, "zu": 0.012, "das": 0.011, "mit": 0.010, "sich": 0.009},
@@ -115,7 +120,7 @@ def _judged(docs: DataFrame, columns: tuple[str, ...], doc_id: str = "doc_id", t
     m = measured(docs, doc_id, text)
     m = m.withColumn("base_failed", (F.col("n_words") < 20) | (100 * F.col("n_repeat_words") > 30 * F.col("n_words")))
     m = m.withColumn("char_distance", F.when(F.col("n_chars_") >= min_chars, F.col("char_distance")))
-    m = m.withColumn("word_distance", F.when(F.col("n_words") >= min_words, F.col("word_distance")))
+    m = m.withColumn("word_distance", F.when((F.col("n_words") >= min_words) & (F.col("p")[0] >= LATIN), F.col("word_distance")))
     far = (F.coalesce(F.col("char_distance"), F.lit(0.0)) > char_limit) | (F.coalesce(F.col("word_distance"), F.lit(0.0)) > word_limit)
     m = m.withColumn("kept", ~F.col("base_failed") & ~far)
     return m.select(F.explode(F.array(F.struct(*columns))).alias("x")).select("x.*")
