@@ -44,7 +44,7 @@ WORDS = r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_]+|\d|(?:[^\s\w]|_)+"
 
 
 #: Rows of one size that are ranked in one part.
-PART_ROWS = 200_000
+PART_ROWS = 20_000
 
 
 class WordEncoder(dict):
@@ -173,7 +173,8 @@ def _numbered(rows: DataFrame, total: int) -> DataFrame:
 
 
 def sweep(gaps: DataFrame, pieces: DataFrame, open_: int, left: int, longest: int) -> DataFrame:
-    """id, size, sequence of all pieces, the last null where no gap is left for it. Gaps: sequence, gap; pieces: id, size.
+    """kind, id, size, sequence: all gaps (kind 0) with their sizes, and all pieces (kind 1) with the sequence each goes to,
+    null where no gap is left for it. Gaps: sequence, gap; pieces: id, size.
 
     A gap is dealt into units that hold the longest piece each, the last with what is over, about as many in all as
     there are pieces and gaps.
@@ -182,12 +183,23 @@ def sweep(gaps: DataFrame, pieces: DataFrame, open_: int, left: int, longest: in
     units = F.greatest(F.lit(1), F.least(F.floor(F.col("gap") / longest), F.lit(share))).cast("int")
     dealt = gaps.withColumn("units", units).select("sequence", "gap", "units", F.explode(F.sequence(F.lit(0), F.col("units") - 1)).alias("unit"))
     size = F.when(F.col("unit") < F.col("units") - 1, F.lit(longest)).otherwise(F.col("gap") - (F.col("units") - 1) * longest)
-    rows = dealt.select(F.lit(0).alias("kind"), size.cast("long").alias("size"), F.col("sequence").alias("id"), "unit")
-    rows = rows.unionByName(pieces.select(F.lit(1).alias("kind"), "size", "id", F.lit(0).alias("unit")))
+    rows = dealt.select(F.lit(0).alias("kind"), size.cast("long").alias("size"), F.col("sequence").alias("id"), "unit", F.col("gap").cast("long").alias("gap"))
+    rows = rows.unionByName(pieces.select(F.lit(1).alias("kind"), "size", "id", F.lit(0).alias("unit"), F.lit(None).cast("long").alias("gap")))
     # rows of one depth are of different sizes or kinds each: twice the capacity at most
     row = Window.partitionBy("depth").orderBy(F.col("size").desc(), "kind")
-    met = _numbered(rows, 2 * (open_ + left)).select("kind", "id", "size", F.lag("kind").over(row).alias("above"), F.lag("id").over(row).alias("sequence"))
-    return met.where("kind = 1").select("id", "size", F.when(F.col("above") == 0, F.col("sequence")).alias("sequence"))
+    met = _numbered(rows, 2 * (open_ + left)).select("kind", "id", "size", "unit", "gap", F.lag("kind").over(row).alias("above"), F.lag("id").over(row).alias("before"))
+    met = met.where("kind = 1 OR unit = 0")
+    to = F.when(F.col("kind") == 0, F.col("id")).when(F.col("above") == 0, F.col("before"))
+    return met.select("kind", "id", F.coalesce("gap", "size").alias("size"), to.alias("sequence"))
+
+
+def _measured(left: DataFrame, gaps: DataFrame | None) -> dict:
+    """Of the pieces left: number, tokens, least and greatest size, how many are large; and how many gaps hold the least."""
+    one = left.agg(F.count(F.lit(1)).alias("n"), F.sum("size").alias("total"), F.min("size").alias("least"), F.max("size").alias("most"))
+    if gaps is not None:
+        least = left.agg(F.min("size").alias("least_"))
+        one = one.crossJoin(gaps.crossJoin(F.broadcast(least)).agg(F.count_if(F.col("gap") >= F.col("least_")).alias("open")))  # one row each
+    return one.collect()[0].asDict()
 
 
 def _longest(pieces: DataFrame, wanted: int) -> Column:
@@ -217,33 +229,24 @@ def best_fit(pieces: DataFrame, capacity: int = CAPACITY) -> DataFrame:
     # whatever fills a sequence, or is alone in it so far
     placed = [pieces.where(F.col("size") >= capacity).select("id", "size", F.col("id").alias("sequence"), F.lit(0).alias("step"))]
     left = materialize(pieces.where(F.col("size") < capacity).select("id", F.col("size").cast("long").alias("size")))
-    gaps = None
-    step = 0
-    measure = [F.count(F.lit(1)).alias("n"), F.sum("size").alias("total"), F.min("size").alias("least"), F.max("size").alias("most"), F.count_if(F.col("size") > capacity // 2).alias("large")]
-    now = left.agg(*measure).collect()[0]
+    gaps, step, large = None, 0, F.col("size") > capacity // 2
+    now = _measured(left, None)
     while now["n"]:
         step += 1
-        first = _longest(left, now["large"] or -(-now["total"] // capacity))
-        left = materialize(left.withColumn("first", first))
-        opened = left.where("first").select("id", "size", F.col("id").alias("sequence"), F.lit(step).alias("step"))
+        first = large if now["most"] > capacity // 2 else _longest(left, -(-now["total"] // capacity))
+        opened = left.where(first).select("id", "size", F.col("id").alias("sequence"), F.lit(step).alias("step"))
         placed.append(opened)
         new = opened.select("sequence", (F.lit(capacity) - F.col("size")).alias("gap"))
         gaps = new if gaps is None else gaps.unionByName(new)
-        left = left.where("NOT first").select("id", "size")
-        now = left.agg(*measure).collect()[0]
-        while now["n"]:
+        left = left.where(~first)
+        now = _measured(left, gaps)
+        while now["n"] and now["open"]:
             step += 1
-            gaps = materialize(gaps.where(F.col("gap") >= now["least"]))
-            open_ = gaps.count()
-            if not open_:
-                break
-            met = materialize(sweep(gaps, left, open_, now["n"], now["most"]))
-            taken = met.where("sequence IS NOT NULL")
-            placed.append(taken.select("id", "size", "sequence", F.lit(step).alias("step")))
-            used = taken.groupBy("sequence").agg(F.sum("size").alias("used"))
-            gaps = gaps.join(used, "sequence", "left").select("sequence", (F.col("gap") - F.coalesce("used", F.lit(0))).alias("gap"))
-            left = met.where("sequence IS NULL").select("id", "size")
-            now = left.agg(*measure).collect()[0]
+            met = materialize(sweep(gaps.where(F.col("gap") >= now["least"]), left, now["open"], now["n"], now["most"]))
+            placed.append(met.where("kind = 1 AND sequence IS NOT NULL").select("id", "size", "sequence", F.lit(step).alias("step")))
+            gaps = met.where("sequence IS NOT NULL").groupBy("sequence").agg(F.sum(F.when(F.col("kind") == 0, F.col("size")).otherwise(-F.col("size"))).alias("gap"))
+            left = met.where("kind = 1 AND sequence IS NULL").select("id", "size")
+            now = _measured(left, gaps)
     out = placed[0]
     for p in placed[1:]:
         out = out.unionByName(p)
