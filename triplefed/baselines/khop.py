@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from triplefed.federation import WORKERS, worker_of
-from triplefed.operators.patterns import run_centralised, scan_pattern
+from triplefed.operators.patterns import scan_pattern
 from triplefed.operators.semijoin import run_distributed
 from triplefed.query import QueryGraph, is_var
 from triplefed.stats import TYPE, degrees
@@ -25,14 +25,23 @@ def hubs(t: DataFrame, sigma: float = 3.0) -> DataFrame:
     return d.crossJoin(F.broadcast(cut)).where("degree > cut").select("v").unionAll(t.where(F.col("p") == TYPE).select(F.col("o").alias("v"))).distinct()  # the cut is one row
 
 
-def khop_partition(t: DataFrame, k: int = 2, assign: DataFrame | None = None, n: int = WORKERS, directed: bool = True, hub_cutoff: bool = True, write=save) -> DataFrame:
+def hub_predicates(t: DataFrame, stop: DataFrame) -> frozenset[str]:
+    """Predicates with a hub among their objects, and with ``^`` those with one among their subjects: beyond these a planner
+    can't count on an expansion."""
+    ends = [t.join(stop.withColumnRenamed("v", end), end, "left_semi").select("p").distinct().collect() for end in "os"]  # predicates
+    return frozenset(mark + r["p"] for mark, rows in zip(("", "^"), ends, strict=True) for r in rows)
+
+
+def khop_partition(t: DataFrame, k: int = 2, assign: DataFrame | None = None, n: int = WORKERS, directed: bool = True, hub_cutoff: bool = True, write=save, hub_vertices: DataFrame | None = None) -> DataFrame:
     """worker, s, p, o. Each hop joins the frontier's ends with the triples, and is written before the next."""
     spo = t.select("s", "p", "o")
     owner = assign if assign is not None else hash_assignment(t, n)
     out = spo.join(owner.select(F.col("v").alias("s"), F.col("part").alias("worker")), "s").select("worker", "s", "p", "o")
     if not directed:
         out = out.unionByName(spo.join(owner.select(F.col("v").alias("o"), F.col("part").alias("worker")), "o").select("worker", "s", "p", "o")).distinct()
-    stop = write(hubs(t)) if hub_cutoff and k > 1 else None
+    stop = None
+    if hub_cutoff and k > 1:
+        stop = hub_vertices if hub_vertices is not None else write(hubs(t))
     out = frontier = write(out)
     for hop in range(2, k + 1):
         ends = frontier.select("worker", F.col("o").alias("v"))
@@ -68,8 +77,8 @@ def centre(q: QueryGraph, k: int, directed: bool = True, require_type: bool = Fa
                     e = q.patterns[i]
                     if e.p not in hub_predicates:
                         reach.setdefault(e.o, hop)
-                        if not directed:
-                            reach.setdefault(e.s, hop)
+                    if not directed and f"^{e.p}" not in hub_predicates:
+                        reach.setdefault(e.s, hop)
         if len(distance) == len(q.patterns) and (best is None or max(distance.values()) < best[0]):
             best = (max(distance.values()), v)
     return best[1] if best else None
@@ -92,14 +101,24 @@ def khop_query(tk: DataFrame, t: DataFrame, q: QueryGraph, k: int = 2, assign: D
     return "parallel", out.select(*(v[1:] for v in q.variables))
 
 
-def khop_sql(k: int, n: int = WORKERS, graph: str = "g") -> str:
-    """The directed replicas without a hub limit, over hash owners."""
+HUBS_SQL = """hubs AS (SELECT v FROM (SELECT v, count(*) AS degree FROM (SELECT s AS v FROM g UNION ALL SELECT o FROM g) GROUP BY v),
+    (SELECT avg(degree) + 3 * stddev_pop(degree) AS cut FROM (SELECT count(*) AS degree FROM (SELECT s AS v FROM g UNION ALL SELECT o FROM g) GROUP BY v))
+    WHERE degree > cut UNION SELECT o FROM g WHERE p = 'type')"""
+
+
+def khop_sql(k: int, n: int = WORKERS, graph: str = "g", directed: bool = True, stop: bool = False) -> tuple[str, str]:
+    """The replicas over hash owners: a WITH list of a relation for each hop, and the last one's name. ``stop``: hubs, as in
+    ``HUBS_SQL``, are not expanded."""
     from triplefed.federation import worker_sql
 
-    out = f"SELECT {worker_sql('s', n)} AS worker, s, p, o FROM {graph}"
-    for _ in range(k - 1):
-        out = f"SELECT * FROM ({out}) UNION SELECT f.worker, t.s, t.p, t.o FROM (SELECT DISTINCT worker, o AS v FROM ({out})) f JOIN {graph} t ON t.s = f.v"
-    return out
+    own = f"SELECT {worker_sql('s', n)} AS worker, s, p, o FROM {graph}"
+    parts = [f"k1 AS ({own if directed else f'{own} UNION SELECT {worker_sql(chr(111), n)}, s, p, o FROM {graph}'})"]
+    for hop in range(2, k + 1):
+        ends = f"SELECT worker, o AS v FROM k{hop - 1}" + ("" if directed else f" UNION SELECT worker, s FROM k{hop - 1}")
+        parts.append(f"f{hop} AS (SELECT DISTINCT worker, v FROM ({ends})" + (" WHERE v NOT IN (SELECT v FROM hubs))" if stop else ")"))
+        more = [f"SELECT worker, s, p, o FROM {graph} JOIN (SELECT worker, v AS {end} FROM f{hop}) USING ({end})" for end in ("s" if directed else "so")]
+        parts.append(f"k{hop} AS (SELECT worker, s, p, o FROM k{hop - 1} UNION {' UNION '.join(more)})")
+    return ", ".join(parts), f"k{k}"
 
 
-__all__ = ["centre", "hash_assignment", "hubs", "khop_partition", "khop_query", "khop_sql", "run_centralised"]
+__all__ = ["centre", "hash_assignment", "hub_predicates", "hubs", "khop_partition", "khop_query", "khop_sql"]

@@ -30,10 +30,34 @@ def gini_udaf():
     return F.pandas_udf(gini, "double")
 
 
-def expand_patterns(queries: DataFrame, text: str = "text") -> DataFrame:
-    """qid, place, s, p, o: a row for each pattern of a query's text."""
-    part = F.posexplode(F.split(text, r" \. "))
-    return queries.select("qid", part.alias("place", "pattern")).select("qid", "place", *(F.split("pattern", " ")[i].alias(c) for i, c in enumerate("spo")))
+def parse_lines(spark, lines: list[str]) -> DataFrame:
+    """line, s, p, o of those of the texts that are triples, by a table function over each."""
+    from pyspark.sql.functions import udtf
+
+    class ParseLine:
+        def eval(self, text: str):
+            import re
+
+            m = re.match(r'^\s*<([^>]*)>\s+<([^>]*)>\s+(?:<([^>]*)>|"((?:[^"\\]|\\.)*)")\s*\.\s*$', text or "")
+            if m:
+                yield m[1], m[2], m[3] if m[3] is not None else m[4]
+
+    parse = udtf(ParseLine, returnType="s: string, p: string, o: string")
+    given = spark.createDataFrame(list(enumerate(lines)), "line int, text string")
+    return given.lateralJoin(parse(F.col("text").outer())).select("line", "s", "p", "o")
+
+
+def expand_table(spark, queries: DataFrame) -> DataFrame:
+    """qid, place, s, p, o: a row for each pattern of a query's text (column ``text``), by a table function."""
+    from pyspark.sql.functions import udtf
+
+    class Expand:
+        def eval(self, text: str):
+            for i, part in enumerate(text.split(" . ")):
+                yield (i, *part.split())
+
+    expand = udtf(Expand, returnType="place: int, s: string, p: string, o: string")
+    return queries.lateralJoin(expand(F.col("text").outer())).select("qid", "place", "s", "p", "o")
 
 
 def worker_local_join(a: DataFrame, b: DataFrame) -> DataFrame:

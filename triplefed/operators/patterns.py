@@ -56,19 +56,51 @@ def project(rows: DataFrame, q: QueryGraph, semantics: str = "homomorphism") ->
 
 
 class MainIndex:
-    """All triples of the federation, written once: a folder for each predicate, sorted by subject and by object.
+    """All triples of the federation: a folder for each predicate, one copy sorted by subject and one by object.
 
-    The three access paths are selections: the predicate prunes folders, the bound end prunes row groups by their
-    minima and maxima in the copy that is sorted by it.
-    """
+    The three access paths are selections: the predicate prunes folders, the bound end prunes row groups by their minima
+    and maxima in the copy that is sorted by it. A predicate's rows are dealt into ``files`` by hash of the subject in both
+    copies, so neither a predicate nor an object that a third of all triples has comes to one task.
 
-    def __init__(self, triples: DataFrame, both: bool = True, files: int | None = None):
-        from triplefed.storage import save
+    Batches are appended as they come. Rows carry the number of the batch that they were ``born`` in; deleted ones are
+    listed in a table of their own with the batch that they ``died`` in, and are left out when read, until ``compact``.
+    """
 
-        columns = [c for c in ("p", "s", "o", "home") if c in triples.columns]
-        lay = lambda end: (triples.select(*columns).repartition(files, "p", end) if files else triples.select(*columns).repartition("p", end)).sortWithinPartitions("p", end)
-        self.by_s = save(lay("s"), ["p"])
-        self.by_o = save(lay("o"), ["p"]) if both else self.by_s
+    def __init__(self, triples: DataFrame, both: bool = True, files: int = 8):
+        self.columns = [c for c in ("s", "p", "o", "home") if c in triples.columns]
+        self.files = files
+        self.spark = triples.sparkSession
+        self.ends = ("s", "o") if both else ("s",)
+        self._lay(triples)
+
+    def _lay(self, triples: DataFrame) -> None:
+        from triplefed.storage import new_folder
+
+        self.at = {end: new_folder(self.spark) for end in self.ends}
+        self.dead: DataFrame | None = None
+        self.born = self.died = 0
+        for end in self.ends:
+            self._write(triples, end, 0)
+
+    def _write(self, triples: DataFrame, end: str, number: int) -> None:
+        dealt = triples.select(*self.columns).repartition("p", F.pmod(F.xxhash64("s"), F.lit(self.files))).sortWithinPartitions("p", end)
+        dealt.withColumn("born", F.lit(number)).write.mode("append").option("maxRecordsPerFile", 5_000_000).partitionBy("p").parquet(self.at[end])
+
+    def _copy(self, end: str) -> DataFrame:
+        kinds = {"home": "int"}
+        rows = self.spark.read.schema(", ".join(f"{c} {kinds.get(c, 'string')}" for c in self.columns if c != "p") + ", born int, p string").parquet(self.at[end if end in self.at else "s"])
+        if self.dead is not None:
+            gone = self.dead.select("s", "p", "o", "died")
+            rows = rows.join(gone, [*(rows[c] == gone[c] for c in "spo"), gone["died"] > rows["born"]], "left_anti")
+        return rows.select(*self.columns)
+
+    @property
+    def by_s(self) -> DataFrame:
+        return self._copy("s")
+
+    @property
+    def by_o(self) -> DataFrame:
+        return self._copy("o")
 
     def by_predicate(self, p: str) -> DataFrame:
         return self.by_s.where(F.col("p") == p).select("s", "o")
@@ -84,3 +116,30 @@ class MainIndex:
 
     def triples(self) -> DataFrame:
         return self.by_s
+
+    def insert(self, batch: DataFrame, number: int) -> int:
+        """Appends what isn't there yet; writes as much as the batch has."""
+        from triplefed.storage import save
+
+        new = save(batch.select(*self.columns).dropDuplicates(["s", "p", "o"]).join(self.triples().select("s", "p", "o"), ["s", "p", "o"], "left_anti"))
+        n = new.count()
+        if n:
+            for end in self.ends:
+                self._write(new, end, number)
+            self.born += n
+        return n
+
+    def delete(self, batch: DataFrame, number: int) -> int:
+        """Lists what is there and goes; writes as much as the batch has."""
+        from triplefed.storage import save
+
+        gone = save(batch.select("s", "p", "o").distinct().join(self.triples().select("s", "p", "o"), ["s", "p", "o"], "left_semi").withColumn("died", F.lit(number)))
+        n = gone.count()
+        if n:
+            self.dead = gone if self.dead is None else self.dead.unionByName(gone)
+            self.died += n
+        return n
+
+    def compact(self) -> None:
+        """Writes what is live anew."""
+        self._lay(self.triples())

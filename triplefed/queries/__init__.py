@@ -4,10 +4,11 @@ from __future__ import annotations
 
 
 def all_queries() -> tuple[dict, dict]:
-    from triplefed.queries import methods, surface
+    """The quick ones first: sessions and experiments come last."""
+    from triplefed.queries import methods, sessions, surface
 
     found, checks = {}, {}
-    for module in (methods, surface):
+    for module in (methods, surface, sessions):
         q, o = module.queries()
         found |= q
         checks |= o

@@ -10,16 +10,17 @@ from pyspark.sql import functions as F
 from triplefed import metrics, sqlgen
 from triplefed import workloads as w
 from triplefed.baselines import caching, hashing, khop, mincut
-from triplefed.federation import WORKERS, place, place_sql
+from triplefed.federation import WORKERS, place, place_sql, worker_sql
 from triplefed.operators import cap, semijoin, updates
-from triplefed.operators.parallel import run_parallel
+from triplefed.operators.parallel import merged_index, run_merged, run_parallel
 from triplefed.operators.patterns import MainIndex, run_centralised, scan_pattern
-from triplefed.plans.tree import vertex_scores
-from triplefed.query import Pattern, bgp, is_var, template_of
-from triplefed.sources.graphs import content_graph, graph_sql, shop_graph
+from triplefed.plans.tree import build_tree, pick_core, vertex_scores
+from triplefed.query import Pattern, bgp, is_var
+from triplefed.sources.graphs import content_graph, edge_sql, graph_sql, shop_graph
 from triplefed.stats import Stats, predicate_scores, stats_error, suppress_outliers
-from triplefed.storage import save
+from triplefed.storage import drop, save
 
+Query = Callable[[SparkSession, str], DataFrame]
 _kept: dict[tuple, object] = {}
 
 
@@ -31,61 +32,113 @@ def kept(spark: SparkSession, sf_dir: str, name: str, make: Callable):
     return _kept[key]
 
 
+def release(spark: SparkSession) -> None:
+    """Forgets what was kept for a session, and drops its tables."""
+    for key in [k for k in _kept if k[0] == spark.sparkContext.applicationId]:
+        found = _kept.pop(key)
+        for m in found.values() if isinstance(found, dict) else ():
+            if isinstance(m, cap.Module):
+                for table in (m.table, m.dead):
+                    if table:
+                        drop(spark, table)
+
+
+def index(spark: SparkSession, sf_dir: str, name: str) -> MainIndex:
+    source = shop_graph if name == "shop" else content_graph
+    return kept(spark, sf_dir, f"index {name}", lambda: MainIndex(place(source(spark, sf_dir), "random")))
+
+
 def graph(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """s, p, o, home: the main index over random homes."""
-    source = shop_graph if name == "shop" else content_graph
-    return kept(spark, sf_dir, f"index {name}", lambda: MainIndex(place(source(spark, sf_dir), "random"), both=False).triples())
+    return index(spark, sf_dir, name).triples()
 
 
-def stats(spark: SparkSession, sf_dir: str, name: str) -> Stats:
-    return kept(spark, sf_dir, f"stats {name}", lambda: Stats(predicate_scores(graph(spark, sf_dir, name), "local_mean")))
+def stats(spark: SparkSession, sf_dir: str, name: str, method: str = "local_mean") -> Stats:
+    return kept(spark, sf_dir, f"stats {name} {method}", lambda: Stats(predicate_scores(graph(spark, sf_dir, name), method)))
 
 
 def graph_of(query: str) -> str:
     return "content" if query.startswith("Y") else "shop"
 
 
-def _tree(query: str):
-    return w.reference_tree(w.QUERIES[query])
+def measured_tree(spark: SparkSession, sf_dir: str, query: str, candidates: str = "all"):
+    """The query's tree by exact scores of the graph as it is. The SQL beside it has the tree that the scores at scale 0.01
+    give, so the two agree only where what is measured is right."""
+    s, q = stats(spark, sf_dir, graph_of(query), "exact"), w.QUERIES[query]
+    return build_tree(q, pick_core(q, s.scores, s.raw, candidates, w.LITERALS), s.scores)
 
 
-def _plans(t: DataFrame, query: str) -> dict[tuple, DataFrame]:
-    return cap.module_plan(t, _tree(query))
+def modules_of(spark: SparkSession, sf_dir: str, query: str, candidates: str = "all", close: str | None = None):
+    """The tree, and a module for each of its edges, copied the first time that any query needs it."""
+    tree = measured_tree(spark, sf_dir, query, candidates)
+    held: dict[tuple, cap.Module] = kept(spark, sf_dir, f"modules {graph_of(query)}", dict)
+    cap.redistribute(graph(spark, sf_dir, graph_of(query)), tree, held.get, lambda m: held.__setitem__(m.path, m), close_cycles=close)
+    return tree, {i: held[cap.in_space(tree.path(i), close)] for i in range(len(tree.nodes))}
 
 
-def _modules(t: DataFrame, query: str) -> DataFrame:
+def _parallel(spark: SparkSession, sf_dir: str, query: str, candidates: str = "all", close: str | None = None) -> DataFrame:
+    tree, match = modules_of(spark, sf_dir, query, candidates, close)
+    return run_parallel(w.QUERIES[query], tree, match)
+
+
+def _merged(spark: SparkSession, sf_dir: str, query: str) -> DataFrame:
+    tree, match = modules_of(spark, sf_dir, query)
+    return run_merged(w.QUERIES[query], tree, merged_index({m.path: m for m in match.values()}), WORKERS)
+
+
+def _contents(spark: SparkSession, sf_dir: str, query: str) -> DataFrame:
+    """module_id, worker, src, prop of all modules of a query's tree."""
     out = None
-    for path, df in _plans(t, query).items():
-        part = df.select(F.lit(cap.module_id(path)).alias("module_id"), "worker", "src", "prop")
+    for m in {m.path: m for m in modules_of(spark, sf_dir, query)[1].values()}.values():
+        part = m.df.select(F.lit(m.id).alias("module_id"), "worker", "src", "prop")
         out = part if out is None else out.unionByName(part)
     return out
 
 
-def _modules_sql(query: str) -> str:
-    parts = [f"SELECT '{cap.module_id(path)}' AS module_id, worker, src, prop FROM ({sql})" for path, sql in cap.modules_sql(_tree(query)).items()]
-    return " UNION ALL ".join(parts)
+def contents_sql(query: str, view: str | None = None) -> tuple[str, str]:
+    """A WITH list, and a SELECT of module_id, worker, src and prop."""
+    paths = cap.tree_paths(w.reference_tree(w.QUERIES[query]))
+    parts, names = cap.paths_sql(paths, WORKERS, graph_of(query), view)
+    return parts, " UNION ALL ".join(f"SELECT '{cap.module_id(p)}' AS module_id, worker, src, prop FROM {names[p]}" for p in paths)
 
 
-def _parallel(spark: SparkSession, sf_dir: str, query: str) -> DataFrame:
-    t, tree = graph(spark, sf_dir, graph_of(query)), _tree(query)
-    modules: dict[tuple, cap.Module] = kept(spark, sf_dir, "modules", dict)
-    cap.redistribute(t, tree, modules.get, lambda m: modules.__setitem__(m.path, m))
-    return run_parallel(w.QUERIES[query], tree, {i: modules[tree.path(i)] for i in range(len(tree.nodes))})
+def _owners(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    return kept(spark, sf_dir, f"owners {name}", lambda: mincut.mincut_partition(graph(spark, sf_dir, name), WORKERS, 3))
 
 
-def _khop(spark: SparkSession, sf_dir: str, name: str, k: int = 2) -> DataFrame:
-    return kept(spark, sf_dir, f"khop {name} {k}", lambda: khop.khop_partition(graph(spark, sf_dir, name), k, hub_cutoff=False))
+def _khop(spark: SparkSession, sf_dir: str, name: str, k: int = 2):
+    """Replicas over a min-cut without expansion of hubs, and the predicates that lead to hubs."""
+    def make():
+        t = graph(spark, sf_dir, name).select("s", "p", "o")
+        stop = save(khop.hubs(t))
+        return khop.khop_partition(t, k, _owners(spark, sf_dir, name), hub_vertices=stop), khop.hub_predicates(t, stop)
+
+    return kept(spark, sf_dir, f"khop {name} {k}", make)
+
+
+def _khop_answer(spark: SparkSession, sf_dir: str, query: str, require_type: bool = False) -> DataFrame:
+    g = graph_of(query)
+    tk, blocked = _khop(spark, sf_dir, g)
+    return khop.khop_query(tk, graph(spark, sf_dir, g), w.QUERIES[query], 2, _owners(spark, sf_dir, g), require_type=require_type, hub_predicates=blocked)[1]
+
+
+def _khop_hash(spark: SparkSession, sf_dir: str, name: str, k: int = 2, directed: bool = True, hub_cutoff: bool = False) -> DataFrame:
+    return kept(spark, sf_dir, f"khop hash {name} {k} {directed} {hub_cutoff}", lambda: khop.khop_partition(graph(spark, sf_dir, name), k, directed=directed, hub_cutoff=hub_cutoff))
+
+
+def _hash_placed(spark: SparkSession, sf_dir: str, name: str, end: str) -> DataFrame:
+    return place(graph(spark, sf_dir, name).drop("home"), f"hash_{end}")
 
 
 def _update(spark: SparkSession, sf_dir: str, query: str, insert: bool) -> DataFrame:
     """Modules after deleting a fifth of the graph, or after inserting it again, by the incremental rules."""
     t = graph(spark, sf_dir, graph_of(query)).select("s", "p", "o")
-    batch = updates.split_batches(t)
-    modules = {p: cap.Module(p, save(df), 0) for p, df in _plans(t, query).items()}
+    batch = save(updates.split_batches(t))
+    modules = {m.path: m for m in modules_of(spark, sf_dir, query)[1].values()}
     out = updates.apply_deletes(modules, batch)
     if insert:
         after = save(updates.insert_into_graph(save(updates.delete_from_graph(t, batch)), batch))
-        out = updates.apply_inserts({p: cap.Module(p, df, 0) for p, df in out.items()}, after, batch, WORKERS)
+        out = updates.apply_inserts({p: cap.Module(p, save(df), 0) for p, df in out.items()}, after, batch, WORKERS)
     every = None
     for path, df in out.items():
         part = df.select(F.lit(cap.module_id(path)).alias("module_id"), "worker", "src", "prop")
@@ -99,110 +152,141 @@ d AS (SELECT {k} v, CAST(count(*) AS DOUBLE) AS degree FROM (SELECT {k} s AS v F
 a AS (SELECT {k} p, sum(degree) / count(*) AS p_s, count(*) AS n_s FROM (SELECT DISTINCT {k} p, s AS v FROM {g}) JOIN d USING ({k} v) GROUP BY {k} p),
 b AS (SELECT {k} p, sum(degree) / count(*) AS p_o, count(*) AS n_o FROM (SELECT DISTINCT {k} p, o AS v FROM {g}) JOIN d USING ({k} v) GROUP BY {k} p),
 n AS (SELECT {k} p, count(*) AS n FROM {g} GROUP BY {k} p)"""
+_FAR = "abs({0} - avg({0}) OVER ()) >= 3 * stddev_pop({0}) OVER ()"
+_OUTLIERS = f"f AS (SELECT p, p_s, p_o, p = 'type' OR ({_FAR.format('p_s')}) OR ({_FAR.format('p_o')}) AS outlier FROM a JOIN b USING (p))"
 
 
-def _rounded(df: DataFrame) -> DataFrame:
+def rounded(df: DataFrame) -> DataFrame:
     return df.withColumns({c: F.round(c, 6) for c, kind in df.dtypes if kind == "double"})
 
 
-def queries() -> tuple[dict[str, Callable[[SparkSession, str], DataFrame]], dict[str, str]]:
-    q: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+def loads_sql(rows: str) -> str:
+    """worker, load of all workers from rows with ``worker``."""
+    return f"SELECT worker, coalesce(n, 0) AS load FROM (SELECT CAST(unnest(range({WORKERS})) AS INT) AS worker) LEFT JOIN (SELECT worker, count(*) AS n FROM ({rows}) GROUP BY worker) USING (worker)"
+
+
+def queries() -> tuple[dict[str, Query], dict[str, str]]:
+    q: dict[str, Query] = {}
     o: dict[str, str] = {}
-    sql = {n: graph_sql(n) for n in ("shop", "content")}
 
-    def add(name: str, run: Callable[[SparkSession, str], DataFrame], oracle: str | None = None) -> None:
+    def add(name: str, run: Query, oracle: str | None = None) -> None:
         q[name] = run
         if oracle is not None:
             o[name] = oracle
 
-    # ---- the workload's queries: central, distributed, parallel, baselines
-    for name, query in w.QUERIES.items():
-        g, answer = graph_of(name), sqlgen.with_graph(sql[graph_of(name)], sqlgen.to_sql(query))
-        add(f"bgp_{name}", lambda s, d, x=query, g=g: run_centralised(graph(s, d, g), x, stats(s, d, g)), answer)
-        add(f"dist_{name}", lambda s, d, x=query, g=g: semijoin.run_distributed(graph(s, d, g), x, stats(s, d, g)), answer)
-        add(f"par_{name}", lambda s, d, n=name: _parallel(s, d, n), answer)
-        add(f"khop_{name}", lambda s, d, x=query, g=g: khop.khop_query(_khop(s, d, g), graph(s, d, g), x)[1], answer)
-        add(f"hash_{name}", lambda s, d, x=query, g=g: hashing.hash_query(place(graph(s, d, g).drop("home"), "hash_s"), x)[1], answer)
+    _answers(add)
+    _patterns_and_placements(add)
+    _statistics(add)
+    _propagation(add)
+    _measures(add)
+    _templates(add)
+    return q, o
+
+
+def _answers(add: Callable) -> None:
+    """The workload's queries: central, distributed, parallel, baselines."""
+    sql = {n: sqlgen.to_sql(x, graph_of(n)) for n, x in w.QUERIES.items()}
+    for name, x in w.QUERIES.items():
+        g = graph_of(name)
+        add(f"bgp_{name}", lambda s, d, x=x, g=g: run_centralised(graph(s, d, g), x, stats(s, d, g)), sql[name])
+        add(f"dist_{name}", lambda s, d, x=x, g=g: semijoin.run_distributed(graph(s, d, g), x, stats(s, d, g)), sql[name])
+        add(f"par_{name}", lambda s, d, n=name: _parallel(s, d, n), sql[name])
+        add(f"khop_{name}", lambda s, d, n=name: _khop_answer(s, d, n), sql[name])
+        add(f"hash_{name}", lambda s, d, x=x, g=g: hashing.hash_query(_hash_placed(s, d, g, "s"), x)[1], sql[name])
     for name in ("WS", "W08"):
-        for strategy in ("broadcast_keys", "shuffle", "plain"):
-            add(f"semijoin_{strategy}_{name}", lambda s, d, n=name, x=strategy: semijoin.run_distributed(graph(s, d, "shop"), w.QUERIES[n], stats(s, d, "shop"), x), o[f"bgp_{name}"])
-        add(f"par_entities_{name}", lambda s, d, n=name: _entities(s, d, n), o[f"bgp_{name}"])
-    add("cache_W10", lambda s, d: caching.ResultCache().answer(w.QUERIES["W10"], lambda x: semijoin.run_distributed(graph(s, d, "shop"), x)), o["bgp_W10"])
-    add("materialized_WS", lambda s, d: caching.MaterializedJoins().answer(graph(s, d, "shop"), w.QUERIES["WS"], stats(s, d, "shop")), o["bgp_WS"])
-    add("injective_Y4", lambda s, d: run_centralised(graph(s, d, "content"), w.QUERIES["Y4"], None, "injective"), sqlgen.with_graph(sql["content"], sqlgen.to_sql(w.QUERIES["Y4"], semantics="injective")))
-    # ---- patterns
-    one = {"p": ("?s", "brand", "?o"), "ps": ("part/7", "brand", "?o"), "po": ("?s", "brand", "brand/Brand#7"), "spo": ("part/7", "brand", "brand/Brand#7"), "s": ("part/7", "?p", "?o"), "o": ("?s", "?p", "brand/Brand#7"), "so": ("part/7", "?p", "brand/Brand#7"), "none": ("?s", "?p", "?o"), "loop": ("?x", "supplies", "?x")}
+        for strategy in ("broadcast_keys", "shuffle", "bloom", "plain"):
+            add(f"semijoin_{strategy}_{name}", lambda s, d, n=name, x=strategy: semijoin.run_distributed(graph(s, d, "shop"), w.QUERIES[n], stats(s, d, "shop"), x), sql[name])
+        add(f"par_entities_{name}", lambda s, d, n=name: _parallel(s, d, n, "entities"), sql[name])
+        add(f"dist_exact_order_{name}", lambda s, d, n=name: _exact_order(s, d, n), sql[name])
+    for name in ("W02", "W08"):
+        add(f"par_closed_{name}", lambda s, d, n=name: _parallel(s, d, n, close=n), sql[name])
+    for name in ("W07", "Y5"):
+        add(f"par_single_index_{name}", lambda s, d, n=name: _merged(s, d, n), sql[name])
+    add("par_any_root_W10", _any_root, sql["W10"])
+    for name in ("Y4", "W10"):
+        add(f"hash_o_{name}", lambda s, d, n=name: hashing.hash_query(_hash_placed(s, d, graph_of(n), "o"), w.QUERIES[n], "o")[1], sql[name])
+    for name in ("Y5", "W03"):
+        add(f"khop_typed_{name}", lambda s, d, n=name: _khop_answer(s, d, n, True), sql[name])
+    add("cache_W10", lambda s, d: caching.ResultCache().answer(w.QUERIES["W10"], lambda x: semijoin.run_distributed(graph(s, d, "shop"), x)), sql["W10"])
+    add("materialized_WS", lambda s, d: caching.MaterializedJoins().answer(graph(s, d, "shop"), w.QUERIES["WS"], stats(s, d, "shop")), sql["WS"])
+    add("injective_Y4", lambda s, d: run_centralised(graph(s, d, "content"), w.QUERIES["Y4"], None, "injective"), sqlgen.to_sql(w.QUERIES["Y4"], "content", "injective"))
+
+
+def _exact_order(spark: SparkSession, sf_dir: str, query: str) -> DataFrame:
+    t, x = graph(spark, sf_dir, "shop"), w.QUERIES[query]
+    return semijoin.run_distributed(t, x, stats(spark, sf_dir, "shop"), cardinalities=semijoin.exact_cardinalities(t, x))
+
+
+def _any_root(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A query whose own tree wasn't copied, but a tree of it from another vertex was."""
+    from triplefed.engine import Config, Engine
+
+    x = w.QUERIES["W10"]
+
+    def make() -> Engine:
+        e = Engine(graph(spark, sf_dir, "shop"), Config(statistics="exact", root_search="any"), index=False)
+        other = next(v for v in x.vertices if is_var(v) and v != e.tree_of(x).root)
+        tree = build_tree(x, other, e.stats.scores)
+        cap.redistribute(e.triples, tree, e.forest.get, e.forest.add)
+        return e
+
+    e = kept(spark, sf_dir, "any root", make)
+    plan = e.plan(x)
+    if plan.mode != "parallel":
+        raise AssertionError("no tree of the query was found among the copies")
+    return e.answer(x, plan)
+
+
+def _patterns_and_placements(add: Callable) -> None:
+    one = {"p": ("?s", "brand", "?o"), "ps": ("part/7", "brand", "?o"), "po": ("?s", "brand", "brand/Brand#7"), "spo": ("part/7", "brand", "brand/Brand#7"), "s": ("part/7", "?p", "?o"), "o": ("?s", "?p", "brand/Brand#7"), "so": ("part/7", "?p", "brand/Brand#7"), "loop": ("?x", "supplies", "?x")}
     for name, terms in one.items():
-        x = bgp(" ".join(terms))
-        found = sqlgen.to_sql(x)
-        if name == "spo":
-            found = f"SELECT true AS found FROM g WHERE s = '{terms[0]}' AND p = '{terms[1]}' AND o = '{terms[2]}' LIMIT 1"
-        add(f"scan_{name}", lambda s, d, e=Pattern(*terms): scan_pattern(graph(s, d, "shop"), e), sqlgen.with_graph(sql["shop"], found))
-    # ---- graphs and placements
-    add("src_shop_graph", lambda s, d: shop_graph(s, d), f"SELECT s, p, o FROM ({sql['shop']})")
-    add("src_content_graph", lambda s, d: content_graph(s, d), f"SELECT s, p, o FROM ({sql['content']})")
+        add(f"scan_{name}", lambda s, d, e=Pattern(*terms): scan_pattern(graph(s, d, "shop"), e), sqlgen.to_sql(bgp(" ".join(terms)), "shop"))
+    add("scan_none", lambda s, d: scan_pattern(graph(s, d, "content"), Pattern("?s", "?p", "?o")), sqlgen.to_sql(bgp("?s ?p ?o"), "content"))
+    for name, run in {"by_p": lambda m: m.by_predicate("brand"), "by_ps": lambda m: m.by_ps("supplies", "supplier/3"), "by_po": lambda m: m.by_po("soldBy", "supplier/3")}.items():
+        s, p, o = {"by_p": (None, "brand", None), "by_ps": ("supplier/3", "supplies", None), "by_po": (None, "soldBy", "supplier/3")}[name]
+        add(f"index_{name}", lambda x, d, f=run: f(index(x, d, "shop")), edge_sql("shop", p, s, o))
+    # all triples, as how many of each predicate and the sum of a hash of each
+    code = "CAST(sum(('0x' || substr(md5(concat(s, '|', o)), 1, 8))::BIGINT) AS BIGINT)"
+    add("src_shop_graph", lambda s, d: shop_graph(s, d).groupBy("p").agg(F.count(F.lit(1)).alias("n"), F.sum(_code("s", "o")).alias("digest")), f"SELECT p, count(*) AS n, {code} AS digest FROM ({graph_sql('shop')}) GROUP BY p")
+    add("src_content_graph", lambda s, d: content_graph(s, d), f"SELECT s, p, o FROM ({graph_sql('content')})")
     for policy in ("random", "hash_s", "hash_o", "by_region"):
-        add(f"place_{policy}", lambda s, d, x=policy: place(shop_graph(s, d), x), sqlgen.with_graph(sql["shop"], f"SELECT s, p, o, {place_sql(policy)} AS home FROM g"))
-    add("place_by_source", lambda s, d: place(content_graph(s, d), "by_source"))
-    # ---- statistics
+        # what each repository holds of each predicate: how many triples, and the sum of a hash of each
+        add(f"place_{policy}", lambda s, d, x=policy: place(graph(s, d, "shop").drop("home"), x).groupBy("home", "p").agg(F.count(F.lit(1)).alias("n"), F.sum(_code("s", "o")).alias("digest")), f"SELECT home, p, count(*) AS n, {code} AS digest FROM (SELECT s, p, o, {place_sql(policy)} AS home FROM ({graph_sql('shop')})) GROUP BY home, p")
+    add("place_by_source", lambda s, d: place(graph(s, d, "content").drop("home"), "by_source"))
+
+
+def _statistics(add: Callable) -> None:
     keyless = _SCORES.format(k="", g="g")
+    g = f"WITH g AS MATERIALIZED ({graph_sql('shop')}), {keyless}"
     exact = "SELECT p, round(p_s, 6) AS p_s, round(p_o, 6) AS p_o, n_s, n_o, n FROM a JOIN b USING (p) JOIN n USING (p)"
-    add("stats_exact", lambda s, d: _rounded(predicate_scores(graph(s, d, "shop"))), f"WITH g AS MATERIALIZED ({sql['shop']}), {keyless} {exact}")
-    placed = f"SELECT s, p, o, {place_sql('random')} AS home FROM ({sql['shop']})"
-    local = f"WITH h AS MATERIALIZED ({placed}), {_SCORES.format(k='home,', g='h')}, l AS (SELECT * FROM a JOIN b USING (home, p) JOIN n USING (home, p))"
-    for name, options, mean in (("stats_local", {}, "sum({0}) / count(*)"), ("stats_local_all", {"over": "all", "workers": WORKERS}, f"sum({{0}}) / {WORKERS}"), ("stats_local_weighted", {"weight": "vertices"}, "sum({0} * {1}) / sum({1})")):
+    add("stats_exact", lambda s, d: rounded(predicate_scores(graph(s, d, "shop"))), f"{g} {exact}")
+    add("stats_exact_content", lambda s, d: rounded(predicate_scores(graph(s, d, "content"))), f"WITH g AS MATERIALIZED ({graph_sql('content')}), {keyless} {exact}")
+    local = f"WITH h AS MATERIALIZED ({_placed()}), {_SCORES.format(k='home,', g='h')}, l AS (SELECT * FROM a JOIN b USING (home, p) JOIN n USING (home, p))"
+    means = (("stats_local", {}, "sum({0}) / count(*)"), ("stats_local_all", {"over": "all", "workers": WORKERS}, f"sum({{0}}) / {WORKERS}"), ("stats_local_weighted", {"weight": "vertices"}, "sum({0} * {1}) / sum({1})"))
+    for name, options, mean in means:
         body = f"SELECT p, round({mean.format('p_s', 'n_s')}, 6) AS p_s, round({mean.format('p_o', 'n_o')}, 6) AS p_o, CAST(sum(n_s) AS BIGINT) AS n_s, CAST(sum(n_o) AS BIGINT) AS n_o, CAST(sum(n) AS BIGINT) AS n FROM l GROUP BY p"
-        add(name, lambda s, d, x=options: _rounded(predicate_scores(graph(s, d, "shop"), "local_mean", **x)), f"{local} {body}")
-    add("stats_sketch", lambda s, d: predicate_scores(graph(s, d, "shop"), "sketch"))
-    far = "abs({0} - avg({0}) OVER ()) >= 3 * stddev_pop({0}) OVER ()"
-    add("stats_outliers", lambda s, d: _rounded(suppress_outliers(predicate_scores(graph(s, d, "shop")))).select("p", "p_s", "p_o", "outlier"), f"WITH g AS MATERIALIZED ({sql['shop']}), {keyless}, f AS (SELECT p, p_s, p_o, p = 'type' OR ({far.format('p_s')}) OR ({far.format('p_o')}) AS outlier FROM a JOIN b USING (p)) SELECT p, CASE WHEN NOT outlier THEN round(p_s, 6) END AS p_s, CASE WHEN NOT outlier THEN round(p_o, 6) END AS p_o, outlier FROM f")
-    add("stats_error", lambda s, d: stats_error(predicate_scores(graph(s, d, "shop")), predicate_scores(graph(s, d, "shop"), "local_mean")))
-    add("vertex_scores", _vertex_scores, f"WITH g AS MATERIALIZED ({sql['shop']}), {keyless}, f AS (SELECT p, p_s, p_o, p = 'type' OR ({far.format('p_s')}) OR ({far.format('p_o')}) AS outlier FROM a JOIN b USING (p)), e(qid, s, p, o) AS (VALUES {_edges_sql()}), v AS (SELECT qid, s AS vertex, p_s AS x, outlier FROM e JOIN f USING (p) UNION ALL SELECT qid, o, p_o, outlier FROM e JOIN f USING (p)) SELECT qid, vertex, round(max(CASE WHEN NOT outlier THEN x END), 6) AS score FROM v GROUP BY qid, vertex")
-    # ---- propagation
-    for name in ("W02", "W06", "W07", "W08", "WS", "Y3", "Y5"):
-        g = graph_of(name)
-        add(f"cap_modules_{name}", lambda s, d, n=name, g=g: _modules(graph(s, d, g), n).groupBy("module_id").agg(F.count(F.lit(1)).alias("n_rows")), sqlgen.with_graph(sql[g], f"SELECT module_id, count(*) AS n_rows FROM ({_modules_sql(name)}) GROUP BY module_id"))
-    for name in ("W06", "W07", "W11", "WS", "Y5"):
-        g = graph_of(name)
-        add(f"cap_placement_{name}", lambda s, d, n=name, g=g: _modules(graph(s, d, g), n), sqlgen.with_graph(sql[g], _modules_sql(name)))
-        add(f"upd_delete_{name}", lambda s, d, n=name: _update(s, d, n, False), f"WITH every AS MATERIALIZED ({sql[g]}), g AS (SELECT * FROM every WHERE NOT ({_FIFTH})) {_modules_sql(name)}")
-        add(f"upd_insert_{name}", lambda s, d, n=name: _update(s, d, n, True), sqlgen.with_graph(sql[g], _modules_sql(name)))
-    # ---- measures
-    for name in ("W08", "WS"):
-        add(f"replication_ratio_{name}", lambda s, d, n=name: metrics.replication_ratio(_modules(graph(s, d, "shop"), n), graph(s, d, "shop")), sqlgen.with_graph(sql["shop"], f"SELECT *, replica_rows / triples AS ratio FROM (SELECT (SELECT count(*) FROM ({_modules_sql(name)})) AS replica_rows, (SELECT count(*) FROM g) AS triples)"))
-        load = f"SELECT w.worker, count(m.worker) AS load FROM (SELECT unnest(range({WORKERS})) AS worker) w LEFT JOIN ({_modules_sql(name)}) m ON m.worker = w.worker GROUP BY w.worker"
-        add(f"gini_cap_{name}", lambda s, d, n=name: _rounded(metrics.gini(metrics.loads(_modules(graph(s, d, "shop"), n), WORKERS))), sqlgen.with_graph(sql["shop"], f"SELECT round(gini, 6) AS gini FROM ({metrics.gini_sql(load)})"))
-    hop = khop.khop_sql(2)
-    load = f"SELECT w.worker, count(m.worker) AS load FROM (SELECT unnest(range({WORKERS})) AS worker) w LEFT JOIN ({hop}) m ON m.worker = w.worker GROUP BY w.worker"
-    add("gini_khop", lambda s, d: _rounded(metrics.gini(metrics.loads(_khop(s, d, "content"), WORKERS))), sqlgen.with_graph(sql["content"], f"SELECT round(gini, 6) AS gini FROM ({metrics.gini_sql(load)})"))
-    for k in (1, 2, 3):
-        add(f"khop_replicas_{k}", lambda s, d, k=k: _khop(s, d, "content", k), sqlgen.with_graph(sql["content"], khop.khop_sql(k)))
-    add("khop_hubs", lambda s, d: khop.khop_partition(graph(s, d, "content"), 2))
-    add("khop_undirected", lambda s, d: khop.khop_partition(graph(s, d, "content"), 2, directed=False))
-    for name in ("W06", "W10", "WS"):
-        add(f"comm_semijoin_{name}", lambda s, d, n=name: _communication(s, d, n), _communication_sql(name, placed))
-    shop = list(w.SHOP_QUERIES.values())
-    add("coverage", lambda s, d: metrics.coverage(graph(s, d, "shop"), shop), sqlgen.with_graph(sql["shop"], f"SELECT *, covered / triples AS share FROM (SELECT (SELECT count(*) FROM ({_coverage_sql(shop)})) AS covered, (SELECT count(*) FROM g) AS triples)"))
-    add("coverage_match_W11", lambda s, d: metrics.coverage(graph(s, d, "shop"), [w.QUERIES["W11"]], "match"), sqlgen.with_graph(sql["shop"], f"SELECT *, covered / triples AS share FROM (SELECT (SELECT count(*) FROM ({_match_sql(w.QUERIES['W11'])})) AS covered, (SELECT count(*) FROM g) AS triples)"))
-    add("khop_relevant", lambda s, d: khop.khop_partition(metrics.relevant(graph(s, d, "content"), list(w.CONTENT_QUERIES.values())), 2, hub_cutoff=False), f"WITH every AS MATERIALIZED ({sql['content']}), g AS MATERIALIZED ({_coverage_sql(list(w.CONTENT_QUERIES.values()), 'every')}) {khop.khop_sql(2)}")
-    add("mincut", lambda s, d: mincut.mincut_partition(graph(s, d, "content"), 4))
-    add("edge_cut", lambda s, d: _rounded(metrics.edge_cut(graph(s, d, "content"), khop.hash_assignment(graph(s, d, "content")))), sqlgen.with_graph(sql["content"], _edge_cut_sql()))
-    # ---- templates over the log of events
-    add("template_counts", lambda s, d: _log(s, d).select("template_id", F.explode("consts").alias("value")).groupBy("template_id", "value").agg(F.count(F.lit(1)).alias("n")), "SELECT event_type AS template_id, concat('customer/', user_id) AS value, count(*) AS n FROM events GROUP BY ALL")
-    add("template_generalised", lambda s, d: _generalised(s, d, 10), _generalised_sql(10))
-    add("template_generalised_all", lambda s, d: _generalised(s, d, 0), _generalised_sql(0))
-    add("template_generalised_none", lambda s, d: _generalised(s, d, 10**9), _generalised_sql(10**9))
-    add("reactive_triggers", lambda s, d: _log(s, d).groupBy("qid").agg(F.count(F.lit(1)).alias("n")).where("n > 3"), "SELECT concat_ws('|', event_type, concat('customer/', user_id)) AS qid, count(*) AS n FROM events GROUP BY 1 HAVING count(*) > 3")
-    add("engine_session", _session)
-    add("engine_index", _session_index)
-    return q, o
+        add(name, lambda s, d, x=options: rounded(predicate_scores(graph(s, d, "shop"), "local_mean", **x)), f"{local} {body}")
+    add("stats_sketch", _sketch_bounds, f"{g} SELECT p, true AS near FROM n")
+    add("stats_outliers", lambda s, d: rounded(suppress_outliers(predicate_scores(graph(s, d, "shop")))).select("p", "p_s", "p_o", "outlier"), f"{g}, {_OUTLIERS} SELECT p, CASE WHEN NOT outlier THEN round(p_s, 6) END AS p_s, CASE WHEN NOT outlier THEN round(p_o, 6) END AS p_o, outlier FROM f")
+    x = f"x AS (SELECT p, p_s, p_o FROM ({exact}))"
+    y = f"y AS (SELECT p, sum(p_s) / count(*) AS a_s, sum(p_o) / count(*) AS a_o FROM l_a JOIN l_b USING (home, p) GROUP BY p)"
+    by_home = _SCORES.format(k="home,", g="h").replace("d AS (", "l_d AS (", 1).replace("\na AS", "\nl_a AS").replace("\nb AS", "\nl_b AS").replace("\nn AS", "\nl_n AS").replace("JOIN d USING", "JOIN l_d USING")
+    add("stats_error", lambda s, d: rounded(stats_error(predicate_scores(graph(s, d, "shop")), predicate_scores(graph(s, d, "shop"), "local_mean"))), f"WITH h AS MATERIALIZED ({_placed()}), g AS (SELECT s, p, o FROM h), {keyless}, {by_home}, {x.replace('round(p_s, 6)', 'p_s').replace('round(p_o, 6)', 'p_o')}, {y} SELECT p, round(abs(a_s / p_s - 1), 6) AS error_s, round(abs(a_o / p_o - 1), 6) AS error_o FROM x JOIN y USING (p)")
+    edges = ", ".join(f"('{n}', '{e.s}', '{e.p}', '{e.o}')" for n, x in w.SHOP_QUERIES.items() for e in x.patterns)
+    add("vertex_scores", _vertex_scores, f"{g}, {_OUTLIERS}, e(qid, s, p, o) AS (VALUES {edges}), v AS (SELECT qid, s AS vertex, p_s AS x, outlier FROM e JOIN f USING (p) UNION ALL SELECT qid, o, p_o, outlier FROM e JOIN f USING (p)) SELECT qid, vertex, round(max(CASE WHEN NOT outlier THEN x END), 6) AS score FROM v GROUP BY qid, vertex")
+    add("cores", _cores, "SELECT * FROM (VALUES " + ", ".join(f"('{n}', '{c}', '{w.reference_tree(x, c).root}')" for n, x in w.QUERIES.items() for c in ("all", "entities")) + ") AS x(qid, candidates, core)")
 
 
-def _entities(spark: SparkSession, sf_dir: str, query: str) -> DataFrame:
-    t, x = graph(spark, sf_dir, "shop"), w.QUERIES[query]
-    tree = w.reference_tree(x, "entities")
-    plans = cap.module_plan(t, tree)
-    return run_parallel(x, tree, lambda i: plans[tree.path(i)])
+def _placed() -> str:
+    return f"SELECT s, p, o, {place_sql('random')} AS home FROM ({graph_sql('shop')})"
+
+
+def _sketch_bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """p, and whether the sketch's scores are within a tenth of the exact ones."""
+    t = graph(spark, sf_dir, "shop")
+    exact = predicate_scores(t).select("p", "p_s", "p_o")
+    both = stats_error(exact, predicate_scores(t, "sketch"))
+    return both.select("p", ((F.col("error_s") <= 0.1) & (F.col("error_o") <= 0.1)).alias("near"))
 
 
 def _vertex_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -212,56 +296,176 @@ def _vertex_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "qid string, vertex string, score double")
 
 
-def _edges_sql() -> str:
-    return ", ".join(f"('{n}', '{e.s}', '{e.p}', '{e.o}')" for n, q in w.SHOP_QUERIES.items() for e in q.patterns)
+def _cores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = [(n, c, measured_tree(spark, sf_dir, n, c).root) for n in w.QUERIES for c in ("all", "entities")]
+    return spark.createDataFrame(rows, "qid string, candidates string, core string")
+
+
+def _propagation(add: Callable) -> None:
+    for name in ("W02", "W06", "W07", "W08", "WS", "Y3", "Y5"):
+        parts, body = contents_sql(name)
+        add(f"cap_modules_{name}", lambda s, d, n=name: _contents(s, d, n).groupBy("module_id").agg(F.count(F.lit(1)).alias("n_rows")), f"WITH {parts} SELECT module_id, count(*) AS n_rows FROM ({body}) GROUP BY module_id")
+    for name in ("W06", "W07", "W11", "WS", "Y5"):
+        parts, body = contents_sql(name)
+        left, after = contents_sql(name, "g")
+        # all that is compared of a module: how many rows at each worker, and the sum of a hash of each
+        code = "CAST(sum(('0x' || substr(md5(concat(src, '|', prop)), 1, 8))::BIGINT) AS BIGINT)"
+        shown = f"SELECT module_id, worker, count(*) AS n, {code} AS digest FROM ({{0}}) GROUP BY module_id, worker"
+        add(f"cap_placement_{name}", lambda s, d, n=name: _shown(_contents(s, d, n)), f"WITH {parts} {shown.format(body)}")
+        if name == "W11":
+            continue
+        add(f"upd_delete_{name}", lambda s, d, n=name: _shown(_update(s, d, n, False)), f"WITH g AS MATERIALIZED (SELECT * FROM ({graph_sql(graph_of(name))}) WHERE NOT ({_FIFTH})), {left} {shown.format(after)}")
+        add(f"upd_insert_{name}", lambda s, d, n=name: _shown(_update(s, d, n, True)), f"WITH {parts} {shown.format(body)}")
+    parts, body = contents_sql("Y5")
+    add("upd_batches_Y5", _batches, f"WITH {parts} {shown.format(body)}")
+
+
+def _batches(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Copies that an engine kept up through batches of deletes and then of inserts: they are what they were."""
+    from triplefed.engine import Config, Engine
+
+    def make() -> Engine:
+        e = Engine(place(content_graph(spark, sf_dir), "random"), Config(statistics="exact"))
+        e.redistribute(w.QUERIES["Y5"])
+        batches = save(updates.split_batches(e.triples, 5, 3))
+        for k in range(3):
+            e.delete(batches.where(F.col("batch") == k))
+        for k in range(3):
+            e.insert(batches.where(F.col("batch") == k))
+        return e
+
+    out = None
+    for m in kept(spark, sf_dir, "batches", make).forest.modules.values():
+        part = m.df.select(F.lit(m.id).alias("module_id"), "worker", "src", "prop")
+        out = part if out is None else out.unionByName(part)
+    return _shown(out)
 
 
-def _communication(spark: SparkSession, sf_dir: str, query: str) -> DataFrame:
-    return semijoin.communication(graph(spark, sf_dir, "shop"), w.QUERIES[query], WORKERS)
+def _code(*columns: str):
+    """A number for each row, the same in any SQL engine."""
+    return F.conv(F.substring(F.md5(F.concat_ws("|", *columns)), 1, 8), 16, 10).cast("long")
 
 
-def _communication_sql(query: str, placed: str) -> str:
+def _shown(contents: DataFrame) -> DataFrame:
+    return contents.groupBy("module_id", "worker").agg(F.count(F.lit(1)).alias("n"), F.sum(_code("src", "prop")).alias("digest"))
+
+
+def _measures(add: Callable) -> None:
+    total = {g: f"SELECT count(*) FROM ({graph_sql(g)})" for g in ("shop", "content")}
+    for name in ("W08", "WS", "Y3", "Y5"):
+        g = graph_of(name)
+        parts, body = contents_sql(name)
+        add(f"replication_ratio_{name}", lambda s, d, n=name, g=g: metrics.replication_ratio(_contents(s, d, n), graph(s, d, g)), f"WITH {parts} SELECT *, replica_rows / triples AS ratio FROM (SELECT (SELECT count(*) FROM ({body})) AS replica_rows, ({total[g]}) AS triples)")
+        add(f"gini_cap_{name}", lambda s, d, n=name: rounded(metrics.gini(metrics.loads(_contents(s, d, n), WORKERS))), f"WITH {parts} SELECT round(gini, 6) AS gini FROM ({metrics.gini_sql(loads_sql(body))})")
+    parts, body = contents_sql("Y5")
+    add("replication_distinct_Y5", lambda s, d: metrics.replication_ratio(_contents(s, d, "Y5"), graph(s, d, "content"), "distinct"), f"WITH {parts} SELECT *, replica_rows / triples AS ratio FROM (SELECT (SELECT count(*) FROM (SELECT DISTINCT worker, src, prop FROM ({body}))) AS replica_rows, ({total['content']}) AS triples)")
+    content = f"g AS MATERIALIZED ({graph_sql('content')})"
+    # both systems' balance and copies on the same graph
+    for name, options, stop in (("", {}, False), ("_hubs", {"hub_cutoff": True}, True), ("_undirected", {"directed": False, "hub_cutoff": True}, True)):
+        parts, last = khop.khop_sql(2, directed=options.get("directed", True), stop=stop)
+        sql = f"WITH {content}, {f'{khop.HUBS_SQL}, ' if stop else ''}{parts}"
+        add(f"khop_replicas{name}_2", lambda s, d, x=options: _khop_hash(s, d, "content", 2, **x), f"{sql} SELECT * FROM {last}")
+        add(f"gini_khop{name}", lambda s, d, x=options: rounded(metrics.gini(metrics.loads(_khop_hash(s, d, "content", 2, **x), WORKERS))), f"{sql} SELECT round(gini, 6) AS gini FROM ({metrics.gini_sql(loads_sql(f'SELECT worker FROM {last}'))})")
+        add(f"replication_khop{name}", lambda s, d, x=options: _khop_ratio(_khop_hash(s, d, "content", 2, **x), graph(s, d, "content")), f"{sql} SELECT *, (stored - triples) / triples AS ratio FROM (SELECT (SELECT count(*) FROM {last}) AS stored, (SELECT count(*) FROM g) AS triples)")
+    for k in (1, 3):
+        parts, last = khop.khop_sql(k)
+        add(f"khop_replicas_{k}", lambda s, d, k=k: _khop_hash(s, d, "content", k), f"WITH {content}, {parts} SELECT * FROM {last}")
+    # over the min-cut: every triple is held by its subject's owner, and nothing else is lost or made up
+    add("khop_mincut", lambda s, d: _khop(s, d, "content")[0].select("s", "p", "o").distinct(), f"SELECT s, p, o FROM ({graph_sql('content')})")
+    for name in ("W06", "W10", "WS"):
+        add(f"comm_semijoin_{name}", lambda s, d, n=name: semijoin.communication(graph(s, d, "shop"), w.QUERIES[n], WORKERS), _communication_sql(name))
+    for name in ("W06", "Y5"):
+        add(f"comm_redistribution_{name}", lambda s, d, n=name: _redistribution_traffic(s, d, n), _redistribution_sql(name))
+    shop, every = list(w.SHOP_QUERIES.values()), [e for x in w.SHOP_QUERIES.values() for e in x.patterns]
+    add("coverage", lambda s, d: metrics.coverage(graph(s, d, "shop"), shop), f"SELECT *, covered / triples AS share FROM (SELECT (SELECT count(*) FROM ({_matched_sql(every, 'shop')})) AS covered, ({total['shop']}) AS triples)")
+    add("coverage_match_W11", lambda s, d: metrics.coverage(graph(s, d, "shop"), [w.QUERIES["W11"]], "match"), f"WITH answer AS ({sqlgen.to_sql(w.QUERIES['W11'])}) SELECT *, covered / triples AS share FROM (SELECT (SELECT count(*) FROM ({_match_sql(w.QUERIES['W11'])})) AS covered, ({total['shop']}) AS triples)")
+    parts, last = khop.khop_sql(2)
+    some = [e for x in w.CONTENT_QUERIES.values() for e in x.patterns]
+    add("khop_relevant", lambda s, d: khop.khop_partition(metrics.relevant(graph(s, d, "content"), list(w.CONTENT_QUERIES.values())), 2, hub_cutoff=False), f"WITH g AS MATERIALIZED ({_matched_sql(some, 'content')}), {parts} SELECT * FROM {last}")
+    add("mincut", _mincut, f"SELECT count(*) AS vertices, true AS balanced, true AS fewer_cut FROM (SELECT s AS v FROM ({graph_sql('content')}) WHERE s <> o UNION SELECT o FROM ({graph_sql('content')}) WHERE s <> o)")
+    add("edge_cut", lambda s, d: rounded(metrics.edge_cut(graph(s, d, "content"), khop.hash_assignment(graph(s, d, "content")))), f"WITH {content} {_edge_cut_sql()}")
+
+
+def _khop_ratio(stored: DataFrame, t: DataFrame) -> DataFrame:
+    one = stored.agg(F.count(F.lit(1)).alias("stored")).crossJoin(t.agg(F.count(F.lit(1)).alias("triples")))  # one row each
+    return one.withColumn("ratio", (F.col("stored") - F.col("triples")) / F.col("triples"))
+
+
+def _mincut(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """vertices, whether no part is half as large again as the mean, and whether fewer edges are cut than by hash."""
+    t, owners = graph(spark, sf_dir, "content"), _owners(spark, sf_dir, "content")
+    cut = metrics.edge_cut(t, owners).select(F.col("cut").alias("a"), "balance")
+    by_hash = metrics.edge_cut(t, khop.hash_assignment(t)).select(F.col("cut").alias("b"))
+    n = owners.agg(F.count(F.lit(1)).alias("vertices"))
+    return n.crossJoin(cut).crossJoin(by_hash).select("vertices", (F.col("balance") < 1.5).alias("balanced"), (F.col("a") < F.col("b")).alias("fewer_cut"))  # one row each
+
+
+def _redistribution_traffic(spark: SparkSession, sf_dir: str, query: str) -> DataFrame:
+    modules = {m.path: m.df for m in modules_of(spark, sf_dir, query)[1].values()}
+    return semijoin.redistribution_traffic(graph(spark, sf_dir, graph_of(query)), modules)
+
+
+def _redistribution_sql(query: str) -> str:
+    paths = cap.tree_paths(w.reference_tree(w.QUERIES[query]))
+    parts, names = cap.paths_sql(paths, WORKERS, graph_of(query))
+    out = []
+    for path in paths:
+        src, prop = ("s", "o") if path[-1][0] == "out" else ("o", "s")
+        homes = f"SELECT {src} AS src, {prop} AS prop, home FROM (SELECT s, p, o, {place_sql('random')} AS home FROM (SELECT s, '{path[-1][1]}' AS p, o FROM ({edge_sql(graph_of(query), path[-1][1])})))"
+        out.append(f"SELECT '{cap.module_id(path)}' AS module_id, count(*) AS moved_rows, CAST(coalesce(sum(strlen(src) + strlen(prop)), 0) AS BIGINT) AS moved_bytes FROM {names[path]} JOIN ({homes}) USING (src, prop) WHERE home <> worker")
+    return f"WITH {parts} {' UNION ALL '.join(out)}"
+
+
+def _communication_sql(query: str) -> str:
     """The rounds in the order of the query, as without statistics."""
     from triplefed.plans.order import order_patterns
 
     q = w.QUERIES[query]
-
-    def scan(i: int) -> str:
-        e = q.patterns[i]
-        where = " AND ".join(f"{c} = '{x}'" for c, x in zip("spo", e, strict=True) if not is_var(x))
-        return f"SELECT {', '.join(f'{c} AS {x[1:]}' for c, x in zip('spo', e, strict=True) if is_var(x))}, home FROM g WHERE {where}"
-
     order = order_patterns(q, None)
-    left, rounds = scan(order[0]), []
-    bound = {v[1:] for v in q.patterns[order[0]].variables}
+    parts = []
+    for i in order:
+        e = q.patterns[i]
+        rows = f"SELECT s, p, o, {place_sql('random')} AS home FROM (SELECT s, '{e.p}' AS p, o FROM ({edge_sql('shop', e.p, *(None if is_var(t) else t for t in (e.s, e.o)))}))"
+        parts.append(f"r{i} AS MATERIALIZED (SELECT {', '.join(f'{c} AS {x[1:]}' for c, x in (('s', e.s), ('o', e.o)) if is_var(x))}, home FROM ({rows}))")
+    bound = [v[1:] for v in q.patterns[order[0]].variables]
+    left, rounds = f"r{order[0]}", []
     for k, i in enumerate(order[1:], 1):
-        right = scan(i)
-        own = {v[1:] for v in q.patterns[i].variables}
-        on = ", ".join(sorted(bound & own))
-        keys = f"SELECT DISTINCT {on}, home AS asker FROM ({left})"
-        joined = f"SELECT l.* EXCLUDE (home), r.* EXCLUDE (home{', ' + on if on else ''}), l.home FROM ({left}) l JOIN ({right}) r USING ({on})"
-        rounds.append(f"SELECT {k} AS round, (SELECT count(*) * {WORKERS - 1} FROM ({keys})) AS keys_sent, (SELECT count(*) FROM ({right}) JOIN ({keys}) USING ({on}) WHERE home <> asker) AS candidates_sent, (SELECT count(*) FROM ({joined})) AS result_rows")
-        left = joined if not own <= bound else f"SELECT l.* FROM ({left}) l JOIN ({right}) r USING ({on})"
-        bound |= own
-    return f"WITH g AS MATERIALIZED ({placed}) {' UNION ALL '.join(rounds)}"
-
-
-def _coverage_sql(queries: list, view: str = "g") -> str:
-    parts = dict.fromkeys(f"SELECT s, p, o FROM {view} WHERE " + (" AND ".join(f"{c} = '{x}'" for c, x in zip("spo", e, strict=True) if not is_var(x)) or "true") for q in queries for e in q.patterns)
+        own = [v[1:] for v in q.patterns[i].variables]
+        on = [v for v in own if v in bound]
+        keys, bytes_ = ", ".join(on), " + ".join(f"strlen({v})" for v in on)
+        parts.append(f"k{k} AS (SELECT DISTINCT {keys}, home AS asker FROM {left})")
+        new = [v for v in own if v not in bound]
+        parts.append(f"l{k} AS MATERIALIZED (SELECT {', '.join([f'l.{v}' for v in bound] + [f'r.{v}' for v in new])}, l.home FROM {left} l JOIN r{i} r ON {' AND '.join(f'l.{v} = r.{v}' for v in on)})")
+        sent = f"SELECT count(*) AS n, coalesce(sum({' + '.join(f'strlen(r.{v})' for v in own)}), 0) AS b FROM r{i} r JOIN k{k} k ON {' AND '.join(f'k.{v} = r.{v}' for v in on)} WHERE r.home <> k.asker"
+        rounds.append(f"SELECT {k} AS round, (SELECT count(*) * {WORKERS - 1} FROM k{k}) AS keys_sent, (SELECT CAST(coalesce(sum({bytes_}), 0) * {WORKERS - 1} AS BIGINT) FROM k{k}) AS key_bytes, (SELECT n FROM ({sent})) AS candidates_sent, (SELECT CAST(b AS BIGINT) FROM ({sent})) AS candidate_bytes, (SELECT count(*) FROM l{k}) AS result_rows")
+        left = f"l{k}"
+        bound += new
+    return f"WITH {', '.join(parts)} {' UNION ALL '.join(rounds)}"
+
+
+def _matched_sql(patterns: list[Pattern], name: str) -> str:
+    """The distinct triples that match any of the patterns."""
+    parts = dict.fromkeys(f"SELECT s, '{e.p}' AS p, o FROM ({edge_sql(name, e.p, *(None if is_var(t) else t for t in (e.s, e.o)))})" for e in patterns)
     return " UNION ".join(parts)
 
 
 def _match_sql(q) -> str:
-    answer = sqlgen.to_sql(q)
     term = lambda x: x[1:] if is_var(x) else f"'{x}'"
-    return " UNION ".join(f"SELECT {term(e.s)} AS s, '{e.p}' AS p, {term(e.o)} AS o FROM ({answer})" for e in q.patterns)
+    return " UNION ".join(f"SELECT {term(e.s)} AS s, '{e.p}' AS p, {term(e.o)} AS o FROM answer" for e in q.patterns)
 
 
 def _edge_cut_sql() -> str:
-    from triplefed.federation import worker_sql
-
     return f"""SELECT count(*) AS edges, count(*) FILTER ({worker_sql('s')} <> {worker_sql('o')}) AS cut,
-        (SELECT round(max(n) / avg(n), 6) FROM (SELECT count(*) AS n FROM (SELECT s AS v FROM g UNION SELECT o FROM g) GROUP BY {worker_sql('v')})) AS balance FROM g"""
+        (SELECT round(max(n) / avg(n), 6) FROM (SELECT count(*) AS n FROM (SELECT s AS v FROM g UNION SELECT o AS v FROM g) GROUP BY {worker_sql('v')})) AS balance FROM g"""
+
+
+def _templates(add: Callable) -> None:
+    """Templates over the log of events, and sessions of the engine."""
+    add("template_counts", lambda s, d: _log(s, d).select("template_id", F.explode("consts").alias("value")).groupBy("template_id", "value").agg(F.count(F.lit(1)).alias("n")), "SELECT event_type AS template_id, concat('customer/', user_id) AS value, count(*) AS n FROM events GROUP BY ALL")
+    add("template_generalised", lambda s, d: _generalised(s, d, 10), _generalised_sql(10))
+    add("template_generalised_all", lambda s, d: _generalised(s, d, 0), _generalised_sql(0))
+    add("template_generalised_none", lambda s, d: _generalised(s, d, 10**9), _generalised_sql(10**9))
+    add("reactive_triggers", lambda s, d: _log(s, d).groupBy("qid").agg(F.count(F.lit(1)).alias("n")).where("n > 3"), "SELECT concat_ws('|', event_type, concat('customer/', user_id)) AS qid, count(*) AS n FROM events GROUP BY 1 HAVING count(*) > 3")
 
 
 def _log(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -280,29 +484,9 @@ def _generalised_sql(theta: int) -> str:
     return f"WITH c AS (SELECT event_type AS template_id, concat('customer/', user_id) AS value, count(*) AS n FROM events GROUP BY ALL) SELECT template_id, CASE WHEN count(*) > {theta} THEN '?' ELSE first(value ORDER BY n DESC, value) END AS value FROM c GROUP BY template_id"
 
 
-def _engine(spark: SparkSession, sf_dir: str):
-    from triplefed.engine import Config, Engine
-
-    def make():
-        e = Engine(place(content_graph(spark, sf_dir), "random"), Config(adaptive="proactive", freq=2, proactivity=3))
-        pools = [w.instances(e.triples, q, 4) for q in (w.QUERIES["Y1"], w.QUERIES["Y5"])]
-        e.run(w.workload(pools, 10))
-        return e
-
-    return kept(spark, sf_dir, "engine", make)
-
-
-def _session(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _engine(spark, sf_dir).log_df()
-
-
-def _session_index(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _engine(spark, sf_dir).index_df()
-
-
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The six-pattern chain: redistributed around its core, then answered by local joins."""
+    """The six-pattern chain: redistributed around its core by measured scores, then answered by local joins."""
     return _parallel(spark, sf_dir, "WS")
 
 
-__all__ = ["flagship", "queries", "template_of"]
+__all__ = ["flagship", "queries", "release"]

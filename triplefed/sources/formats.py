@@ -53,6 +53,10 @@ def round_trip(t: DataFrame, form: str) -> DataFrame:
     from triplefed.storage import root
 
     path = f"{root(t.sparkSession)}/formats/{uuid.uuid4().hex}"
+    if form == "bucketed":
+        name = f"triplefed_{uuid.uuid4().hex}"
+        t.select("s", "p", "o").write.format("parquet").bucketBy(8, "s").sortBy("s").option("path", path).saveAsTable(name)
+        return t.sparkSession.table(name)
     write_triples(t.select("s", "p", "o"), path, form)
     if form == "ntriples":
         return read_ntriples(t.sparkSession, path).where("malformed IS NULL").drop("malformed")

@@ -116,18 +116,51 @@ def quotes(spark: SparkSession, sf_dir: str, words: int = 4) -> DataFrame:
     return found.join(docs, "doc_id").where(F.contains("text", "item")).select(_id("doc", "doc_id").alias("s"), F.lit("quotes").alias("p"), _id("item", "item_id").alias("o")).distinct()
 
 
+#: Branches of the content graph that are more than a projection, as SELECTs of s and o.
+_DERIVED_SQL = {
+    "sameText": "SELECT concat('doc/', f) AS s, concat('doc/', doc_id) AS o FROM (SELECT doc_id, min(doc_id) OVER (PARTITION BY md5(text)) AS f FROM documents WHERE text IS NOT NULL) WHERE doc_id > f",
+    "quotes": "SELECT DISTINCT concat('doc/', doc_id) AS s, concat('item/', item_id) AS o FROM documents d JOIN benchmark b ON contains(d.text, b.text)",
+    "follows": "SELECT concat('turn/', conv_id, '-', turn) AS s, concat('turn/', conv_id, '-', before) AS o FROM (SELECT conv_id, turn FROM conversations) JOIN (SELECT conv_id, turn + 1 AS turn, turn AS before FROM conversations) USING (conv_id, turn)",
+    "linksTo": "SELECT DISTINCT concat('page/', page_id) AS s, concat('href/', unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1))) AS o FROM pages",
+}
+
+
+def predicates(name: str) -> list[str]:
+    branches = SHOP if name == "shop" else CONTENT
+    return list(dict.fromkeys([p for p, *_ in branches] + ([*_DERIVED_SQL] if name == "content" else [])))
+
+
+def edge_sql(name: str, predicate: str, s: str | None = None, o: str | None = None) -> str:
+    """s and o of one predicate's triples as a SELECT that reads only the tables that carry it, with constants applied.
+
+    A branch whose object is another literal than the constant is left out, and so is one whose terms begin otherwise.
+    """
+    parts = []
+    for p, table, subject, target, repeats in SHOP if name == "shop" else CONTENT:
+        if p == predicate and _may_be(subject, s) and _may_be(target, o):
+            parts.append(f"SELECT {'DISTINCT ' if repeats else ''}{subject} AS s, {target} AS o FROM {table}")
+    if name == "content" and predicate in _DERIVED_SQL:
+        parts.append(_DERIVED_SQL[predicate])
+    if not parts:
+        parts = ["SELECT '' AS s, '' AS o WHERE false"]
+    rows = " UNION ALL ".join(parts)
+    where = " AND ".join(f"{c} = {quoted(x)}" for c, x in (("s", s), ("o", o)) if x is not None)
+    return f"SELECT s, o FROM ({rows}) WHERE {where}" if where else rows
+
+
+def quoted(term: str) -> str:
+    return "'" + term.replace("'", "''") + "'"
+
+
+def _may_be(expression: str, term: str | None) -> bool:
+    """Whether a branch's expression, a literal or a concatenation that begins with one, can give the term."""
+    first = expression.split("'")[1]
+    return term is None or (term == first if expression.startswith("'") else term.startswith(first))
+
+
 def graph_sql(name: str) -> str:
     """The graph as a SELECT that DuckDB runs."""
-    branches = SHOP if name == "shop" else CONTENT
-    parts = [f"SELECT {'DISTINCT ' if d else ''}{s} AS s, '{p}' AS p, {o} AS o FROM {t}" for p, t, s, o, d in branches]
-    if name == "content":
-        parts += [
-            "SELECT concat('doc/', f) AS s, 'sameText' AS p, concat('doc/', doc_id) AS o FROM (SELECT doc_id, min(doc_id) OVER (PARTITION BY md5(text)) AS f FROM documents WHERE text IS NOT NULL) WHERE doc_id > f",
-            "SELECT DISTINCT concat('doc/', doc_id) AS s, 'quotes' AS p, concat('item/', item_id) AS o FROM documents d JOIN benchmark b ON contains(d.text, b.text)",
-            "SELECT concat('turn/', a.conv_id, '-', a.turn) AS s, 'follows' AS p, concat('turn/', b.conv_id, '-', b.turn) AS o FROM conversations a JOIN conversations b ON a.conv_id = b.conv_id AND a.turn = b.turn + 1",
-            "SELECT DISTINCT concat('page/', page_id) AS s, 'linksTo' AS p, concat('href/', unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1))) AS o FROM pages",
-        ]
-    return " UNION ALL ".join(parts)
+    return " UNION ALL ".join(f"SELECT s, '{p}' AS p, o FROM ({edge_sql(name, p)})" for p in predicates(name))
 
 
 def table_of(predicate: str) -> str:

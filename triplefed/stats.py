@@ -25,13 +25,14 @@ def _scored(t: DataFrame, keys: list[str]) -> DataFrame:
     return out.join(t.groupBy(*keys, "p").agg(F.count(F.lit(1)).alias("n")), [*keys, "p"])
 
 
-def predicate_scores(t: DataFrame, method: str = "exact", over: str = "holders", weight: str = "none", workers: int | None = None, rsd: float = 0.02) -> DataFrame:
+def predicate_scores(t: DataFrame, method: str = "exact", over: str = "holders", weight: str = "none", workers: int | None = None, rsd: float = 0.02, target: int = 16_384) -> DataFrame:
     """p, p_s, p_o, n_s, n_o, n.
 
     ``exact``: over the whole graph. ``local_mean``: each worker (column ``home``) scores its own triples with its own
     degrees, and the scores are averaged over the workers that hold the predicate (``holders``), or over ``all``
     ``workers``; with ``weight='vertices'`` each worker weighs as its distinct ends. ``sketch``: n_s and n_o by
-    HyperLogLog and the degree sums from vertex degrees joined once, for graphs whose distinct ends are too many.
+    HyperLogLog, and the scores from about ``target`` ends of each predicate, those with the smallest hashes, whose degrees
+    alone are counted; what shuffles is bounded by the number of predicates, however many vertices there are.
     """
     if method == "exact":
         return _scored(t, []).select("p", "p_s", "p_o", "n_s", "n_o", "n")
@@ -45,17 +46,27 @@ def predicate_scores(t: DataFrame, method: str = "exact", over: str = "holders",
             mean = lambda score, n: F.sum(score) / F.count(F.lit(1))
         return local.groupBy("p").agg(mean("p_s", "n_s").alias("p_s"), mean("p_o", "n_o").alias("p_o"), F.sum("n_s").alias("n_s"), F.sum("n_o").alias("n_o"), F.sum("n").alias("n"))
     if method == "sketch":
-        # each occurrence of an end weighs 1 / (its occurrences in p), so no distinct is needed; those counts combine early
-        d = degrees(t)
-        out = None
-        for end, score, n in (("s", "p_s", "n_s"), ("o", "p_o", "n_o")):
-            of = t.groupBy("p", F.col(end).alias("v")).agg(F.count(F.lit(1)).alias("k")).join(d, "v")
-            of = of.groupBy("p").agg(F.avg("degree").alias(score), F.approx_count_distinct("v", rsd).alias(n), F.sum("k").alias(f"k_{end}"))
-            out = of if out is None else out.join(of, "p")
-        return out.select("p", "p_s", "p_o", "n_s", "n_o", F.col("k_s").alias("n"))
+        return _sketched(t, rsd, target)
     raise ValueError(method)
 
 
+def _sketched(t: DataFrame, rsd: float, target: int) -> DataFrame:
+    from triplefed.storage import save
+
+    counts = save(t.groupBy("p").agg(F.approx_count_distinct("s", rsd).alias("n_s"), F.approx_count_distinct("o", rsd).alias("n_o"), F.count(F.lit(1)).alias("n")))
+    share = lambda n: (F.least(F.lit(1.0), F.lit(float(target)) / F.col(n)) * (1 << 40)).cast("long")
+    rates = F.broadcast(counts.select("p", share("n_s").alias("s_below"), share("n_o").alias("o_below")))  # a row for each predicate
+    ends = t.join(rates, "p")
+    kept = lambda end: F.pmod(F.xxhash64(end), F.lit(1 << 40)) < F.col(f"{end}_below")
+    some = [ends.where(kept(end)).select("p", F.lit(end).alias("end"), F.col(end).alias("v")) for end in "so"]
+    some = save(some[0].unionByName(some[1]).distinct())
+    met = F.broadcast(some.select("v").distinct())  # about twice the target for each predicate
+    every = t.select(F.col("s").alias("v")).unionAll(t.select(F.col("o").alias("v")))
+    degree = every.join(met, "v").groupBy("v").agg(F.count(F.lit(1)).alias("degree"))
+    mean = some.join(degree, "v").groupBy("p").agg(*(F.avg(F.when(F.col("end") == end, F.col("degree"))).alias(f"p_{end}") for end in "so"))
+    return counts.join(mean, "p").select("p", "p_s", "p_o", "n_s", "n_o", "n")
+
+
 def suppress_outliers(scores: DataFrame, k: float = 3.0, tail: str = "both", ddof: int = 0) -> DataFrame:
     """The same rows; both scores become null (standing for minus infinity) for the type predicate and for predicates
     one of whose scores is ``k`` standard deviations or more from the mean of all. ``tail='high'`` keeps low ones."""

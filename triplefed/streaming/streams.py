@@ -83,13 +83,62 @@ def within(log: DataFrame, other: DataFrame, minutes: int = 5) -> DataFrame:
     return a.join(b, F.expr(f"user_a = user_b AND ts_b > ts_a AND ts_b <= ts_a + INTERVAL {minutes} MINUTES")).select("seq_a", "seq_b")
 
 
+LATE_SQL = """SELECT strftime(date_trunc('day', ts), '%Y-%m-%d') AS window_start, count(*) AS n FROM events
+    WHERE ts >= TIMESTAMP '2024-01-11' AND date_trunc('day', ts) + INTERVAL 1 DAY <= (SELECT max(ts) - INTERVAL 1 DAY FROM events) GROUP BY 1"""
+
+
+def late_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Queries in each day, of a log whose first file begins on the 11th and whose second holds the days before: its rows
+    are all later than the watermark allows and are dropped. Days that the watermark hasn't passed aren't out yet."""
+    from triplefed.sources.graphs import read_table
+
+    at = f"{root(spark)}/streams/{uuid.uuid4().hex}"
+    events = read_table(spark, sf_dir, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"))
+    for part in ("ts >= TIMESTAMP '2024-01-11'", "ts < TIMESTAMP '2024-01-11'"):
+        # the stream runs over what is there, ends, and goes on where it was when the second file has come
+        events.where(part).coalesce(1).write.mode("append").parquet(f"{at}/log")
+        log = spark.readStream.schema(events.schema).parquet(f"{at}/log").withWatermark("ts", "1 day")
+        days = log.groupBy(F.window("ts", "1 day").alias("w")).agg(F.count(F.lit(1)).alias("n"))
+        days = days.select(F.date_format("w.start", "yyyy-MM-dd").alias("window_start"), "n")
+        days.writeStream.format("parquet").option("path", f"{at}/out").option("checkpointLocation", f"{at}/state").outputMode("append").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(days.schema).parquet(f"{at}/out")
+
+
 def apply_updates(stream: DataFrame, apply: Callable[[DataFrame, int], None], checkpoint: str) -> None:
-    """Each micro-batch of (op, s, p, o) once: the batch's number goes along, and a repeated one is passed over."""
-    done: set[int] = set()
+    """Each micro-batch of (op, s, p, o) once. A batch is marked under the checkpoint when it has been applied, so that a
+    restart between the two applies it again; deletes of what is gone and inserts of what is there do nothing, which makes
+    that harmless. A marked batch is passed over."""
+    spark = stream.sparkSession
+    jvm = spark.sparkContext._jvm
 
     def once(df: DataFrame, number: int) -> None:
-        if number not in done:
+        mark = jvm.org.apache.hadoop.fs.Path(f"{checkpoint}/applied/{number}")
+        system = mark.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+        if not system.exists(mark):
             apply(df, number)
-            done.add(number)
+            system.mkdirs(mark)
+
+    stream.writeStream.foreachBatch(once).option("checkpointLocation", f"{checkpoint}/state").trigger(availableNow=True).start().awaitTermination()
 
-    stream.writeStream.foreachBatch(once).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
+
+def updated_graph(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """p, n after a stream of updates: a fifth of two predicates' triples deleted, then that of one inserted again."""
+    from triplefed.operators.patterns import MainIndex
+    from triplefed.operators.updates import split_batches
+    from triplefed.sources.graphs import shop_graph
+
+    at = f"{root(spark)}/streams/{uuid.uuid4().hex}"
+    t = shop_graph(spark, sf_dir).where(F.col("p").isin("brand", "partKind"))
+    main = MainIndex(t, both=False)
+    fifth = split_batches(main.triples(), 5, 1).drop("batch")
+    fifth.select(F.lit("D").alias("op"), "s", "p", "o").coalesce(1).write.mode("append").parquet(f"{at}/log")
+    fifth.where("p = 'brand'").select(F.lit("I").alias("op"), "s", "p", "o").coalesce(1).write.mode("append").parquet(f"{at}/log")
+
+    def apply(df: DataFrame, number: int) -> None:
+        main.delete(df.where("op = 'D'"), 2 * number + 1)
+        main.insert(df.where("op = 'I'"), 2 * number + 2)
+
+    for _ in range(2):  # the second run finds every batch marked
+        log = spark.readStream.schema("op string, s string, p string, o string").option("maxFilesPerTrigger", 1).parquet(f"{at}/log")
+        apply_updates(log, apply, f"{at}/checkpoint")
+    return main.triples().groupBy("p").agg(F.count(F.lit(1)).alias("n"))

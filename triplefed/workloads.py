@@ -63,6 +63,27 @@ def instances(t: DataFrame, q: QueryGraph, n: int, seed: int = 0) -> list[QueryG
     return [q.bind({c: values[c][i % len(values[c])] for c in slots}) for i in range(count)]
 
 
+#: Constants that vary with an instance's number alone, whatever the data: what comes before the number, the least, how many.
+_NUMBERED = {"customer/": (1, 100), "supplier/": (1, 10), "nation/": (0, 25), "region/": (0, 5), "year/": (1992, 7), "brand/Brand#": (1, 25)}
+
+
+def numbered_instances(q: QueryGraph, n: int) -> list[QueryGraph]:
+    """Up to ``n`` queries of the template whose constants are counted on from the template's; no data is looked at."""
+    out = []
+    for i in range(n):
+        values = {}
+        for c in constants(q):
+            for kind, (least, many) in _NUMBERED.items():
+                if c.startswith(kind):
+                    values[c] = f"{kind}{least + (int(c[len(kind):]) - least + i) % many}"
+        out.append(q.bind(values))
+    return list(dict.fromkeys(out))
+
+
+def numbered_load(names: list[str], size: int, each: int = 12, seed: int = 0) -> list[QueryGraph]:
+    return workload([numbered_instances(QUERIES[n], each) for n in names], size, seed)
+
+
 def workload(pools: list[list[QueryGraph]], size: int, seed: int = 0) -> list[QueryGraph]:
     """``size`` picks: each a template, then an instance, both evenly by hash of the place in the sequence."""
     out = []
