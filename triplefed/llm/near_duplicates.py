@@ -44,7 +44,7 @@ NODE_ROWS, DEPTH = 4096, 2
 #: How many standard deviations of the sketch a candidate may fall short of the threshold.
 SLACK = 3.7
 #: Word hashes that a task keeps.
-CACHE = 500_000
+CACHE = 200_000
 PIVOTS = 64
 
 

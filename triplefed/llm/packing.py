@@ -37,7 +37,7 @@ from triplefed.llm.token_count import byte_letters, tokenizer_path
 CAPACITY = 4096
 END_ID = 1
 #: Words whose ids a task keeps; the table starts anew beyond it.
-CACHE = 800_000
+CACHE = 300_000
 #: The word pattern of the lower-casing vocabulary file, for ASCII and for any text.
 ASCII_WORDS = r"'s|'t|'re|'ve|'m|'ll|'d|[a-z]+|[0-9]|[^\sa-z0-9]+"
 WORDS = r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_]+|\d|(?:[^\s\w]|_)+"
