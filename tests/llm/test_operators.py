@@ -528,3 +528,27 @@ def test_repeated_rows_are_each_judged(spark, docs):
         keys = [c for c in got.columns if c in ("doc_id", "n_tokens", "n_words", "labels", "kept", "piece", "start", "ids_crc32")]
         counts = got.groupBy(*keys).count()
         assert counts.where("count % 2 <> 0").isEmpty() and got.count() >= 50
+
+
+@pytest.mark.parametrize("looked_at", [20, 10**6])
+def test_continuations_count_all_different_histories(spark, monkeypatch, looked_at):
+    rng = random.Random(4)
+    words = [f"x{chr(97 + i)}{chr(97 + j)}" for i in range(8) for j in range(8)]
+    texts = [" ".join(rng.choices(words, k=rng.randint(0, 40))) for _ in range(80)] + [None, "", "lone", "the end"]
+    monkeypatch.setattr(toxicity, "LOOKED_AT", looked_at)
+    before = {}
+    for t in texts:
+        t = (t or "").split()
+        for h, w in zip([None, *t], t):
+            before.setdefault(w, set()).update({h} - {None})
+    hashes = toxicity.Hashes()
+    got = [(r["w"], r["s"]) for r in toxicity.continuations(spark.createDataFrame([(t,) for t in texts], "text string")).collect()]
+    assert sorted(got) == sorted((hashes[w], 1 + len(b)) for w, b in before.items()) and max(s for _, s in got) > 20
+    assert toxicity.continuations(spark.createDataFrame([], "text string")).count() == 0
+
+
+def test_models_back_off_to_all_continuations(spark, monkeypatch):
+    monkeypatch.setattr(toxicity, "shared_counts", None)
+    docs = spark.createDataFrame([(i, f"one two {'foul' if i % 2 else 'fair'} three four") for i in range(60)], "doc_id long, text string")
+    got = toxicity.score(docs, docs.select("doc_id", (F.col("doc_id") % 2).cast("int").alias("toxic"))).collect()
+    assert all(r["predicted"] == r["doc_id"] % 2 for r in got)
