@@ -552,3 +552,28 @@ def test_models_back_off_to_all_continuations(spark, monkeypatch):
     docs = spark.createDataFrame([(i, f"one two {'foul' if i % 2 else 'fair'} three four") for i in range(60)], "doc_id long, text string")
     got = toxicity.score(docs, docs.select("doc_id", (F.col("doc_id") % 2).cast("int").alias("toxic"))).collect()
     assert all(r["predicted"] == r["doc_id"] % 2 for r in got)
+
+
+def test_pairs_go_by_common_histories_and_come_back():
+    rng = np.random.default_rng(5)
+    h, w = rng.integers(-(1 << 62), 1 << 62, 300)[rng.integers(0, 300, 5000)], rng.integers(-(1 << 62), 1 << 62, 40)[rng.integers(0, 40, 5000)]
+    common = np.sort(np.unique(h)[::2])
+    sent = [toxicity.packed_pairs(h, w, c) for c in (toxicity.NONE, common)]
+    for rows, c in zip(sent, (toxicity.NONE, common), strict=True):
+        back = [p for _, data in rows for p in zip(*(x.tolist() for x in toxicity.unpacked_pairs(data, c)), strict=True)]
+        assert sorted(back) == sorted({*zip(h.tolist(), w.tolist(), strict=True)})
+    assert sum(len(d) for _, d in sent[1]) < 0.75 * sum(len(d) for _, d in sent[0])
+
+
+def test_evidence_of_many_texts_is_that_of_each():
+    rng = np.random.default_rng(6)
+    words, texts = np.unique(rng.integers(0, 1 << 40, 50)), []
+    for n in (0, 1, 7, 0, 30, 2):
+        texts.append(rng.choice(words, n))
+    known = np.sort(np.unique(np.concatenate([toxicity.pair_keys(k) for k in texts if len(k) > 1]))[::2])
+    model = toxicity.Model(words[::2], np.linspace(-3, 3, len(words[::2])).astype(np.float32), known, np.linspace(-2, 4, len(known)).astype(np.float32))
+    got = model.evidence(texts, (0.0, 1.5))
+    values = [dict(zip(k.tolist(), v.tolist(), strict=True)) for k, v in ((model.words, model.word_values), (model.pairs, model.pair_values))]
+    for row, k in zip(got, texts, strict=True):
+        found = [[values[0].get(x, 0) for x in k.tolist()], [values[1].get(x, 0) for x in (toxicity.pair_keys(k).tolist() if len(k) > 1 else [])]]
+        assert row.tolist() == pytest.approx([sum(x for x in v if abs(x) > m) for m in (0.0, 1.5) for v in found])
