@@ -577,3 +577,23 @@ def test_evidence_of_many_texts_is_that_of_each():
     for row, k in zip(got, texts, strict=True):
         found = [[values[0].get(x, 0) for x in k.tolist()], [values[1].get(x, 0) for x in (toxicity.pair_keys(k).tolist() if len(k) > 1 else [])]]
         assert row.tolist() == pytest.approx([sum(x for x in v if abs(x) > m) for m in (0.0, 1.5) for v in found])
+
+
+def test_packing_keeps_frequent_words_when_its_table_is_full(monkeypatch):
+    """A word that keeps coming is encoded once, however many rare words pass; the table stays within its bound."""
+    e = packing.WordEncoder(packing.tokenizer_path("word_bpe_49k.json"), 20)
+    rare = ["".join(chr(97 + int(d)) for d in f"{i:03d}") for i in range(400)]
+    made, packed = [], packing._packed
+    monkeypatch.setattr(packing, "_packed", lambda ids: made.append(1) or packed(ids))
+    got = b""
+    for w in rare:
+        got += e.encode(f"frequent {w}")
+        assert len(e) + len(e.older) <= 20
+    assert len(made) == len(rare) + 1
+    assert got == b"".join(e._library(f"frequent {w}") for w in rare)
+
+
+def test_packing_cuts_words_as_the_library():
+    e = packing.WordEncoder(packing.tokenizer_path("word_bpe_49k.json"))
+    for text in ("don't'll 's'sx ''s a's1'2've", "I'M _'t__s a_b 'x'", "l'été's 'é é'd1² _é_'re", "'SÉ'LLß'''m", "漢字'sか'な"):
+        assert e.encode(text) == e._library(text), text
