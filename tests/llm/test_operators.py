@@ -11,7 +11,7 @@ import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
-from triplefed.llm import chat_format, license_scan, mixing, near_duplicates, packing, quality_rules, token_count, toxicity, url_filter, vector_search
+from triplefed.llm import chat_format, common, license_scan, mixing, near_duplicates, packing, quality_rules, token_count, toxicity, url_filter, vector_search
 
 WORDS = re.compile(r"[^\x20\x09-\x0D]+").findall
 ODD = [
@@ -597,3 +597,37 @@ def test_packing_cuts_words_as_the_library():
     e = packing.WordEncoder(packing.tokenizer_path("word_bpe_49k.json"))
     for text in ("don't'll 's'sx ''s a's1'2've", "I'M _'t__s a_b 'x'", "l'été's 'é é'd1² _é_'re", "'SÉ'LLß'''m", "漢字'sか'な"):
         assert e.encode(text) == e._library(text), text
+
+
+def test_pairs_are_handed_on_in_little_memory(monkeypatch):
+    """24 bytes a word at most: each was held several times over before."""
+    import tracemalloc
+
+    rng = np.random.default_rng(3)
+    held, hashes, want = toxicity.Pairs(), toxicity.Hashes(), set()
+    monkeypatch.setattr(toxicity, "HELD", 500)  # words are forgotten meanwhile
+    texts = [" ".join("w" + "".join(chr(97 + int(d)) for d in str(x)) for x in rng.zipf(1.3, 1000) % 20_000) for _ in range(400)]
+    for text in ["", "alone", None, *texts]:
+        held.add(text)
+        k = toxicity.keys_of(text, hashes).tolist()
+        want.update(zip(k[:-1], k[1:]))
+    tracemalloc.start()
+    rows, begin = held.handed_on()
+    most = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    got = [p for _, data in rows for p in zip(*(x.tolist() for x in toxicity.unpacked_pairs(data)), strict=True)]
+    assert len(got) == len(want) and set(got) == want
+    assert sorted({hashes[t.split()[0]] for t in [*texts, "alone"]}) == sorted(k for _, d in begin for k in np.frombuffer(d, np.int64).tolist())
+    assert most < 24 * 400_000 + 2_000_000 and not held.size and held.handed_on() == ([], [])
+
+
+def test_batches_of_python_workers_are_bounded_in_bytes(spark):
+    def run(batches):
+        import pyarrow as pa
+
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([pa.array([b.num_rows]), pa.array([b.nbytes])], names=["n", "b"])
+
+    common.ship(spark)
+    rows = spark.range(0, 4000, 1, 1).select(F.repeat(F.lit("ab "), 1500).alias("text")).mapInArrow(run, "n long, b long").collect()
+    assert sum(r["n"] for r in rows) == 4000 and max(r["b"] for r in rows) < 5_000_000
