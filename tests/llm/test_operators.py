@@ -3,6 +3,7 @@
 import hashlib
 import random
 import re
+import time
 import zlib
 from collections import Counter
 
@@ -631,3 +632,38 @@ def test_batches_of_python_workers_are_bounded_in_bytes(spark):
     common.ship(spark)
     rows = spark.range(0, 4000, 1, 1).select(F.repeat(F.lit("ab "), 1500).alias("text")).mapInArrow(run, "n long, b long").collect()
     assert sum(r["n"] for r in rows) == 4000 and max(r["b"] for r in rows) < 5_000_000
+
+
+def test_a_large_model_is_asked_by_many_texts_at_once(spark, monkeypatch):
+    """A pair costs a few bytes where texts meet the model, not a row with a digest; evidence is that of the model on every worker."""
+    rng = np.random.default_rng(8)
+    words = np.array(["w" + "".join(chr(97 + int(d)) for d in str(x)) for x in range(3000)])
+    texts = [" ".join(words[rng.zipf(1.3, n) % 3000]) for n in rng.integers(0, 300, 400)] + [None, "", "alone"]
+    texts += texts[:20]
+    rows = [(None, a) for a in range(0, 3000, 2)] + [(a, b) for a in range(60) for b in range(60) if a != b]
+    hashes = toxicity.Hashes()
+    model = spark.createDataFrame([(None if h is None else hashes[words[h]], hashes[words[w]], float(v)) for (h, w), v in zip(rows, rng.normal(0, 2, len(rows)))], "h long, w long, value double")
+    docs = spark.createDataFrame(list(enumerate(texts)), "id long, __text string").repartition(3)
+    monkeypatch.setattr(toxicity, "ASKED_AT", 2000)
+    found = [sorted((r["id"], r["__n"], *(round(v, 4) for v in r["__e"])) for r in toxicity.Scorer(docs, model, n).evidence(docs, (0.5, 1.0)).collect()) for n in (10**6, 0)]
+    assert found[0] == found[1] and len(found[0]) == len(texts)
+    keys = [toxicity.keys_of(t, hashes) for t in texts]
+    asked = toxicity.asked_of(keys, np.full(1 << 24, 255, np.uint8), 64)
+    most = sum(len(set(k.tolist())) + len({*zip(k[:-1].tolist(), k[1:].tolist())}) for k in keys)
+    assert sum(len(d) for _, d in asked) < 6 * most
+    assert toxicity.asked_of(keys, np.zeros(1 << 24, np.uint8), 64) == []
+
+
+def test_what_a_stage_shuffled_goes_when_it_is_written(spark):
+    import os
+
+    at = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().localDirsString()
+    held = lambda: {f for top in at for _, _, names in os.walk(top) for f in names if f.startswith("shuffle_")}
+    before = held()
+    out = common.materialize(spark.range(10_000).groupBy((F.col("id") % 1000).alias("k")).count())
+    left = lambda: {f for f in held() - before if not f.endswith(".index") and ".checksum" not in f}
+    for _ in range(50):
+        if not left():
+            break
+        time.sleep(0.1)
+    assert not left() and spark.conf.get(common.CLEAN, None) in (None, "false") and out.count() == 1000
