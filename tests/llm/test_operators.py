@@ -667,3 +667,21 @@ def test_what_a_stage_shuffled_goes_when_it_is_written(spark):
             break
         time.sleep(0.1)
     assert not left() and spark.conf.get(common.CLEAN, None) in (None, "false") and out.count() == 1000
+
+
+def test_pairs_that_were_seen_once_count(spark, monkeypatch):
+    """Every pair of the labelled texts has its difference in the model that scores, as its formula says."""
+    rng, made = random.Random(12), []
+    words = [f"w{chr(97 + i)}{chr(97 + j)}" for i in range(6) for j in range(6)]
+    texts = [rng.choices(words[:30] if i % 2 else words[6:], k=12) for i in range(80)]
+    monkeypatch.setattr(toxicity, "Scorer", lambda docs, rows, n, real=toxicity.Scorer: made.append(rows) or real(docs, rows, n))
+    docs = spark.createDataFrame([(i, " ".join(t)) for i, t in enumerate(texts)], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, i % 2) for i in range(80)], "doc_id long, toxic int")
+    toxicity.learned_from(docs, labels)
+    kept = {r["doc_id"] for r in docs.where(~toxicity.held_out() & (F.pmod(F.xxhash64("doc_id"), F.lit(3)) != 2)).collect()}
+    hashes, seen = toxicity.Hashes(), Counter(p for i in kept for p in zip(texts[i], texts[i][1:]))
+    pairs = toxicity.materialize(toxicity.pair_counts(docs.where(F.col("doc_id").isin(sorted(kept))).select(F.col("text").alias("__text"), (F.col("doc_id") % 2).cast("int").alias("__toxic"))))
+    every = {(r["h"], r["w"]) for r in toxicity.differences(pairs, toxicity.materialize(toxicity.continuations(docs)), seen=1).collect()}
+    got = {(r["h"], r["w"]) for r in made[0].collect()}
+    once = {(hashes[h], hashes[w]) for (h, w), n in seen.items() if n == 1}
+    assert got == every and len(got & once) > 20
